@@ -7,7 +7,11 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, language, mixing, packing, simhash
+from . import exact_dedup, language, media, mixing, packing, pseudonyms, quality, secrets, sharding, simhash
+
+
+#: The key of the registered query; users bring their own.
+PSEUDONYM_KEY = "example key of the registered query"
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -22,6 +26,22 @@ def op2_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(documents(spark, sf_dir)).select("doc_id", "fingerprint", "component_id")
 
 
+def op3_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.classify(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def op4_shard_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.shard(documents(spark, sf_dir))
+
+
+def op5_secret_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.secret_spans(documents(spark, sf_dir))
+
+
+def op6_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pseudonyms.pseudonymize(documents(spark, sf_dir), key=PSEUDONYM_KEY)
+
+
 def op7_pack_sequences(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(documents(spark, sf_dir), keep_ids=False)
 
@@ -34,6 +54,10 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.identify(documents(spark, sf_dir))
 
 
+def op10_ogg_media(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return media.media_features(documents(spark, sf_dir))
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     import corpus_pipeline
 
@@ -41,7 +65,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    all_ = (op1_mix_sources, op2_simhash_near_dedup, op7_pack_sequences, op8_exact_dedup, op9_language_id, pipeline)
+    all_ = (op1_mix_sources, op2_simhash_near_dedup, op3_quality_classifier, op4_shard_best_fit, op5_secret_ledger, op6_pseudonyms, op7_pack_sequences, op8_exact_dedup, op9_language_id, op10_ogg_media, pipeline)
     return {f.__name__: f for f in all_}
 
 
@@ -84,5 +108,28 @@ def _op1() -> str:
     return "WITH " + ",\n".join(parts) + "\nSELECT doc_id, source, lang, t AS topic, tokens, round(CAST(prob AS DOUBLE), 6) AS prob, u < prob AS chosen FROM k JOIN p USING (s, l, t)"
 
 
+def _op5() -> str:
+    """Places of the matches from the pieces between them, as list functions."""
+    ctes = ["d AS (SELECT doc_id, coalesce(text, '') AS b FROM documents)"]
+    for rank, r in enumerate(secrets.RULES):
+        pattern = r.pattern.replace("'", "''")
+        ctes.append(
+            f"""k{rank} AS (SELECT doc_id, {rank} AS rank, '{r.kind}' AS kind, unnest(range(1, len(m) + 1)) AS i, m, g, v
+              FROM (SELECT doc_id, regexp_extract_all(b, '{pattern}') AS m, regexp_extract_all(b, '{pattern}', {r.group}) AS v, string_split_regex(b, '{pattern}') AS g FROM d WHERE regexp_matches(b, '{pattern}')))"""
+        )
+        ctes.append(
+            f"""s{rank} AS (SELECT doc_id, rank, kind, CAST(list_sum(list_transform(g[1:i], lambda x: length(x))) + coalesce(list_sum(list_transform(m[1:i - 1], lambda x: length(x))), 0) AS BIGINT) AS start, length(m[i]) AS n
+              FROM k{rank} WHERE length(v[i]) >= {r.least})"""
+        )
+    base = ", ".join(f"'{r.kind}'" for r in secrets.RULES if r.base)
+    number = ", ".join(f"count(kind) FILTER (kind = '{r.kind}') AS n_{r.kind}" for r in secrets.RULES if r.base)
+    ctes.append("s AS (" + " UNION ALL ".join(f"SELECT * FROM s{i}" for i in range(len(secrets.RULES))) + ")")
+    ctes.append("p AS (SELECT d.doc_id, rank, kind, start, kind || ':' || start || ':' || (start + n) AS part FROM d LEFT JOIN s ON d.doc_id = s.doc_id)")
+    return "WITH " + ",\n".join(ctes) + f"""
+SELECT doc_id, {number}, sha256(coalesce(string_agg(part, ',' ORDER BY start, rank) FILTER (kind IN ({base})), '')) AS base_sha256,
+       coalesce(string_agg(part, ',' ORDER BY start, rank), '') AS spans
+FROM p GROUP BY doc_id"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op1_mix_sources": _op1(), "op8_exact_dedup": OP8}
+    return {"op5_secret_ledger": _op5(), "op1_mix_sources": _op1(), "op8_exact_dedup": OP8}
