@@ -97,7 +97,7 @@ def custsupp(spark: SparkSession, sf_dir: str, q: int = 45) -> PropertyGraph:
 @once
 def coactive(spark: SparkSession, sf_dir: str, minutes: int = 10) -> PropertyGraph:
     """Users who fire the same event type within ``minutes``: a range join by time bins."""
-    e = table(spark, sf_dir, "events").select("user_id", "event_type", F.unix_micros("ts").alias("t"))
+    e = table(spark, sf_dir, "events").select("user_id", "event_type", F.expr("timestampdiff(MICROSECOND, TIMESTAMP_NTZ '1970-01-01 00:00:00', ts)").alias("t"))
     width = minutes * 60_000_000
     left = e.select(F.col("user_id").alias("a"), "event_type", F.col("t").alias("ta"), F.floor(F.col("t") / width).alias("bin"))
     right = e.select(F.col("user_id").alias("b"), "event_type", F.col("t").alias("tb"), F.explode(F.array(*[F.floor(F.col("t") / width) + i for i in (-1, 0, 1)])).alias("bin"))
