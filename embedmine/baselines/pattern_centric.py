@@ -13,13 +13,20 @@ from ..sources.graph import PropertyGraph
 Pattern = tuple[tuple[int, ...], tuple[tuple[int, int, int], ...]]
 
 
-def mappings(g: PropertyGraph, p: Pattern) -> DataFrame:
-    """All mappings x0, x1, ... of a pattern with vertex labels: a join for each edge."""
-    labels, edges = p
+def mappings(g: PropertyGraph, group: list[Pattern]) -> DataFrame:
+    """pid and all mappings x0, x1, ... of patterns that differ in their labels only: a join for each edge.
+
+    ``pid`` is the place in ``group``; the patterns' labels travel with the rows,
+    so that one plan serves them all.
+    """
+    edges = group[0][1]
+    n = len(group[0][0])
+    wanted = g.edges.sparkSession.createDataFrame([(i, *p[0]) for i, p in enumerate(group)], "pid int, " + ", ".join(f"l{v} int" for v in range(n)))
     side = g.adjacency.select("vid", "nbr", "vlabel", "nlabel")
     rest = list(edges)
     a, b, _ = rest.pop(0)
-    now = side.where((F.col("vlabel") == labels[a]) & (F.col("nlabel") == labels[b])).select(F.col("vid").alias(f"x{a}"), F.col("nbr").alias(f"x{b}"))
+    first = side.select(F.col("vid").alias(f"x{a}"), F.col("nbr").alias(f"x{b}"), F.col("vlabel").alias(f"l{a}"), F.col("nlabel").alias(f"l{b}"))
+    now = first.join(F.broadcast(wanted), [f"l{a}", f"l{b}"])
     seen = [a, b]
     while rest:
         a, b, _ = edge = next(e for e in rest if e[0] in seen or e[1] in seen)
@@ -28,23 +35,36 @@ def mappings(g: PropertyGraph, p: Pattern) -> DataFrame:
             now = now.join(g.shared(side.select(F.col("vid").alias(f"x{a}"), F.col("nbr").alias(f"x{b}"))), [f"x{a}", f"x{b}"], "left_semi")
             continue
         a, b = (a, b) if a in seen else (b, a)
-        step = side.where((F.col("vlabel") == labels[a]) & (F.col("nlabel") == labels[b])).select(F.col("vid").alias(f"x{a}"), F.col("nbr").alias(f"x{b}"))
-        now = now.join(g.shared(step), f"x{a}").where(every([F.col(f"x{b}") != F.col(f"x{u}") for u in seen]))
+        step = side.select(F.col("vid").alias(f"x{a}"), F.col("nbr").alias(f"x{b}"), F.col("nlabel").alias(f"l{b}"))
+        now = now.join(g.shared(step), [f"x{a}", f"l{b}"]).where(every([F.col(f"x{b}") != F.col(f"x{u}") for u in seen]))
         seen.append(b)
-    return now
+    return now.select("pid", *[f"x{v}" for v in range(n)])
+
+
+def by_shape(group: list[Pattern]) -> list[list[Pattern]]:
+    shapes: dict[tuple, list[Pattern]] = {}
+    for p in group:
+        shapes.setdefault(p[1], []).append(p)
+    return list(shapes.values())
+
+
+def supports(g: PropertyGraph, group: list[Pattern]) -> dict[Pattern, int]:
+    """Support of each pattern: a plan for each shape, one row a pattern to the driver."""
+    out = dict.fromkeys(group, 0)
+    for same in by_shape(group):
+        n = len(same[0][0])
+        images = mappings(g, same).select("pid", F.explode(F.array(*[F.struct(F.lit(v).alias("v"), F.col(f"x{v}").alias("x")) for v in range(n)])).alias("i")).select("pid", "i.v", "i.x").distinct()
+        least = images.groupBy("pid", "v").agg(F.count(F.lit(1)).alias("n")).groupBy("pid").agg(F.min("n").alias("n"))
+        for r in least.collect():
+            out[same[r["pid"]]] = r["n"]
+    return out
 
 
-def support_of(g: PropertyGraph, p: Pattern, threshold: int, early_stop: bool) -> int:
-    """The least number of images of a pattern vertex. With ``early_stop`` counting ends at the threshold."""
-    found = mappings(g, p)
-    sizes = []
-    for v in sorted(set(patterns.canonical(*p)[2])):
-        at = next(i for i, o in enumerate(patterns.canonical(*p)[2]) if o == v)
-        images = found.select(f"x{at}").distinct()
-        sizes.append((images.limit(threshold) if early_stop else images).count())
-        if sizes[-1] < threshold:
-            break
-    return min(sizes)
+def reaches(g: PropertyGraph, p: Pattern, threshold: int) -> bool:
+    """Whether every pattern vertex has ``threshold`` images; matching stops as soon as that many are found."""
+    found = mappings(g, [p])
+    orbit = patterns.canonical(*p)[2]
+    return all(found.select(f"x{v}").distinct().limit(threshold).count() >= threshold for v in sorted(set(orbit.index(o) for o in set(orbit))))
 
 
 def extensions(p: Pattern, pairs: set[tuple[int, int]]) -> set[tuple]:
@@ -76,12 +96,9 @@ def frequent_patterns(g: PropertyGraph, threshold: int, max_edges: int, early_st
     now = {patterns.canonical(p, ((0, 1, 0),))[0] for p in pairs}
     out, frequent_pairs = [], set()
     for size in range(1, max_edges + 1):
-        kept = []
-        for p in sorted(now):
-            s = support_of(g, p, threshold, early_stop)
-            if s >= threshold:
-                kept.append(p)
-                out.append((size, p, s))
+        found = {p: threshold * reaches(g, p, threshold) for p in now} if early_stop else supports(g, sorted(now))
+        kept = [p for p in sorted(now) if found[p] >= threshold]
+        out += [(size, p, found[p]) for p in kept]
         if size == 1:
             frequent_pairs = {tuple(sorted(p[0])) for p in kept}
         now = set().union(*(extensions(p, frequent_pairs) for p in kept)) if kept else set()
@@ -109,14 +126,12 @@ def mine_then_match(g: PropertyGraph, threshold: int, edges: int) -> DataFrame:
     """The centralized pair of a pattern miner and a matcher: embeddings (edge ids w0 < ...) of the frequent patterns of ``edges`` edges."""
     side = g.adjacency.select("vid", "nbr", "eid")
     out = None
-    for size, p, _ in frequent_patterns(g, threshold, edges, early_stop=True):
-        if size != edges:
-            continue
-        found = mappings(g, p)
-        for i, (a, b, _) in enumerate(p[1]):
+    for same in by_shape([p for size, p, _ in frequent_patterns(g, threshold, edges) if size == edges]):
+        found = mappings(g, same)
+        for i, (a, b, _) in enumerate(same[0][1]):
             found = found.join(g.shared(side.select(F.col("vid").alias(f"x{a}"), F.col("nbr").alias(f"x{b}"), F.col("eid").alias(f"__e{i}"))), [f"x{a}", f"x{b}"])
         ids = F.array_sort(F.array(*[F.col(f"__e{i}") for i in range(edges)]))
-        found = found.select(*[ids[i].alias(f"w{i}") for i in range(edges)]).distinct()
+        found = found.select(*[ids[i].alias(f"w{i}") for i in range(edges)])
         out = found if out is None else out.unionByName(found)
     empty = g.edges.where("false").select(*[F.col("eid").alias(f"w{i}") for i in range(edges)])
     return written(empty if out is None else out.distinct(), "matched")

@@ -24,7 +24,7 @@ _LABELS = {
     "copart": "SELECT p_partkey AS vid, p_type AS label FROM part",
     "docs": "SELECT doc_id AS vid, lang AS label FROM documents",
     "custsupp": "SELECT 2 * c_custkey AS vid, n_name AS label FROM customer JOIN nation ON c_nationkey = n_nationkey UNION ALL SELECT 2 * s_suppkey + 1, n_name FROM supplier JOIN nation ON s_nationkey = n_nationkey",
-    "coactive": "SELECT user_id AS vid, event_type AS label FROM (SELECT user_id, event_type, row_number() OVER (PARTITION BY user_id ORDER BY count(*) DESC, event_type) AS r FROM events GROUP BY ALL) WHERE r = 1",
+    "coactive": "SELECT user_id AS vid, event_type AS label FROM (SELECT user_id, event_type, row_number() OVER (PARTITION BY user_id ORDER BY count(*) DESC, event_type) AS r FROM events GROUP BY user_id, event_type) WHERE r = 1",
     "geo": "SELECT vid, CASE vid % 4 WHEN 0 THEN 'region' WHEN 1 THEN 'nation' WHEN 2 THEN 'customer' ELSE 'supplier' END AS label FROM deg",
     "weblink": "SELECT 2 * page_id AS vid, regexp_extract(url, '://([^/]+)', 1) AS label FROM pages UNION ALL SELECT 1, 'path'",
     "conversations": "SELECT conv_id * 100000 + turn AS vid, min(role) AS label FROM conversations GROUP BY ALL",
@@ -162,7 +162,7 @@ UNION ALL SELECT 3, (SELECT count(*) FROM (SELECT DISTINCT src, dst, nbr FROM (S
     out["fsm2_copart"] = out["pattern_centric_copart"] = build("copart", *fsm, select=f"SELECT lc AS center, la AS end_a, lb AS end_b, support FROM p2 WHERE {frequent}")
     out["fsm3_patterns_similar"] = _fsm3()
     out["fsm_embeddings_similar"] = build("similar", *fsm, select="SELECT DISTINCT e1, e2 FROM m2 JOIN p2 USING (lc, la, lb) WHERE support >= 12")
-    out["mine_then_match"] = build("copart", *fsm, select="SELECT DISTINCT e1, e2 FROM m2 JOIN p2 USING (lc, la, lb) WHERE support >= 90")
+    out["mine_then_match"] = build("copart", *fsm, select=f"SELECT DISTINCT e1, e2 FROM m2 JOIN p2 USING (lc, la, lb) WHERE support >= {THETA}")
     out["fsm_edge_labels"] = build("custsupp", select="""SELECT la AS lbl_a, elabel, lb AS lbl_b, least(count(DISTINCT x), count(DISTINCT y)) AS support FROM (
 SELECT a.vid AS x, b.vid AS y, a.label AS la, b.label AS lb, elabel FROM (SELECT src AS s, dst AS t, elabel FROM e UNION ALL SELECT dst, src, elabel FROM e) JOIN lab a ON a.vid = s JOIN lab b ON b.vid = t) WHERE la <= lb GROUP BY la, lb, elabel HAVING least(count(DISTINCT x), count(DISTINCT y)) >= 3""")
     out["fsm_support_sweep"] = build("copart", *fsm, select="SELECT theta, count(support) AS n_frequent, CAST(coalesce(sum(n), 0) AS BIGINT) AS n_kept FROM (SELECT CAST(unnest([60, 90, 120]) AS BIGINT) AS theta) t LEFT JOIN (SELECT support, n FROM p1 UNION ALL SELECT support, n FROM p2) p ON support >= theta GROUP BY theta")

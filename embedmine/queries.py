@@ -383,7 +383,7 @@ add("pattern_centric_skew", lambda s, d: text_labels(pattern_centric.embeddings_
 add("census3", lambda s, d: centralized.motif_census(sim(s, d), 3))
 add("census4", lambda s, d: centralized.motif_census(sim(s, d), 4))
 add("clique_join4", lambda s, d: vectors(centralized.clique_join(docs(s, d), 4), 4))
-add("mine_then_match", lambda s, d: vectors(pattern_centric.mine_then_match(cop(s, d), 90, 2), 2, "e"))
+add("mine_then_match", lambda s, d: vectors(pattern_centric.mine_then_match(cop(s, d), THETA, 2), 2, "e"))
 add("dedupe_global", lambda s, d: vectors(centralized.dedupe_global(sim(s, d), 3), 3))
 
 
