@@ -21,7 +21,8 @@ FORMS = {
     "email": r"[A-Za-z0-9][A-Za-z0-9._%+-]*@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}",
     "ip": r"(?<![0-9A-Za-z.])(?:(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])\.){3}(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])(?![0-9A-Za-z]|\.[0-9])",
     "iban": r"(?<![0-9A-Za-z])[A-Z]{2}[0-9]{2}[A-Z0-9]{11,30}(?![0-9A-Za-z])",
-    "phone": r"(?<![0-9A-Za-z+])\+[0-9]{1,3}[ .-]?(?:\([0-9]{2,4}\)[ .-]?)?[0-9]{2,4}(?:[ .-]?[0-9]{2,4}){1,3}(?![0-9A-Za-z])",
+    "phone_plan": r"(?<![0-9A-Za-z+])\+1[ .-]?\(?[0-9]{3}\)?[ .-]?[0-9]{3}[ .-]?[0-9]{4}(?![0-9A-Za-z])",
+    "phone": r"(?<![0-9A-Za-z+])\+(?!1[ .(-])[0-9]{1,3}[ .-]?(?:\([0-9]{2,4}\)[ .-]?)?[0-9]{2,4}(?:[ .-]?[0-9]{2,4}){1,3}(?![0-9A-Za-z]|\.[0-9])",
     "phone_local": r"(?<![0-9A-Za-z+])\([0-9]{3}\) ?[0-9]{3}-[0-9]{4}(?![0-9A-Za-z])",
     "ssn": r"(?<![0-9A-Za-z-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9A-Za-z-])",
     "date": r"(?<![0-9A-Za-z-])[0-9]{4}-[0-9]{2}-[0-9]{2}(?![0-9A-Za-z-])",
@@ -116,7 +117,7 @@ def moved(kind: str, value: Column, key: Column, inverse: bool) -> tuple[Column,
         new = F.when(F.length(digits) >= 2, refilled(body, permuted_digits(digits, key, "iban", inverse), F.lit(0))).otherwise(body)
         check = lambda b: F.lpad((98 - mod97(F.concat(b, F.substring(value, 1, 2), F.lit("00")))).cast("string"), 2, "0")
         return valid, with_struct(new, lambda b: F.concat(F.substring(value, 1, 2), check(b), b))
-    if kind in ("phone", "phone_local"):
+    if kind.startswith("phone"):
         digits = only_digits(value)
         # The country code stays: what stands before the first blank, bracket or mark (one digit if there is none).
         code = F.when(value.startswith("+"), F.when(value.rlike(r"^\+[0-9]{1,3}[ .(-]"), F.length(F.regexp_extract(value, r"^\+([0-9]+)", 1))).otherwise(1)).otherwise(0)
