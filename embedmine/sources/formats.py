@@ -28,7 +28,7 @@ def read_adjacency_lines(spark: SparkSession, path: str) -> tuple[DataFrame, Dat
     """Lines "vid label nbr nbr ..." to (pairs, labels)."""
     part = F.split(F.trim("value"), r"\s+")
     lines = spark.read.text(path).where(F.trim("value") != "")
-    pairs = lines.select(part[0].cast("long").alias("a"), F.explode(F.slice(part, 3, F.greatest(F.size(part) - 2, F.lit(0)))).cast("long").alias("b"))
+    pairs = lines.select(part[0].cast("long").alias("a"), F.explode(F.slice(part, 3, F.greatest(F.size(part) - 2, F.lit(0))).cast("array<bigint>")).alias("b"))
     return pairs, lines.select(part[0].cast("long").alias("vid"), part[1].alias("label"))
 
 
