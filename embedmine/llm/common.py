@@ -2,21 +2,20 @@
 
 from __future__ import annotations
 
-import atexit
 import sys
-import tempfile
 import types
-import uuid
 
 from pyspark import cloudpickle
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.scratch import scratch_root, written
+
+__all__ = ["ASCII_SPACE", "by_value", "id_remainder", "ranked", "scratch_root", "squeezed", "text_or_empty", "worker_cache", "written"]
+
 #: The ASCII white space that the text contracts name.
 ASCII_SPACE = " \t\n\x0b\x0c\r"
 
-_roots: dict[str, str] = {}
-
 
 def by_value(module: str) -> None:
     """Send the functions of a module to the Python workers with their code, so
@@ -24,41 +23,6 @@ def by_value(module: str) -> None:
     cloudpickle.register_pickle_by_value(sys.modules[module])
 
 
-def scratch_root(spark: SparkSession) -> str:
-    """A folder of this session below ``spark.checkpoint.dir``.
-
-    Only where that setting is absent (tests on one machine) a temporary folder
-    is made and used instead. The folder goes when the driver's Python ends.
-    """
-    context = spark.sparkContext
-    base = context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()
-    if not base:
-        base = tempfile.mkdtemp(prefix="llm-scratch-")
-        context.setCheckpointDir(base)
-    key = f"{context.applicationId}:{base}"
-    if key not in _roots:
-        _roots[key] = f"{base.rstrip('/')}/llm-{uuid.uuid4().hex}"
-        atexit.register(_remove, spark, _roots[key])
-    return _roots[key]
-
-
-def _remove(spark: SparkSession, path: str) -> None:
-    try:
-        jvm = spark.sparkContext._jvm
-        place = jvm.org.apache.hadoop.fs.Path(path)
-        place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
-    except Exception:  # the session has gone already; the folder is scratch
-        pass
-
-
-def written(df: DataFrame, name: str) -> DataFrame:
-    """``df`` written once as Parquet in shared storage and read again: it cuts
-    the lineage and survives the loss of executors."""
-    path = f"{scratch_root(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def worker_cache(name: str) -> dict:
     """A dict that lives as long as the Python worker (tasks reuse workers)."""
     holder = sys.modules.setdefault("_llm_worker_cache", types.ModuleType("_llm_worker_cache"))
@@ -84,14 +48,15 @@ def ranked(df: DataFrame, key: list[str], order: list[str], out: str, salts: int
     key's rows into one task. Rows are numbered within (key, salt); the counts
     of the salts before are added. Ties in ``order`` must not matter.
     """
-    from pyspark.sql import Window as W
-
     salted = df.withColumn("__salt", F.pmod(F.xxhash64(*order), F.lit(salts)))
     counts = salted.groupBy(*key, "__salt").agg(F.count(F.lit(1)).alias("__n"))
     before = counts.select(
         *key,
         "__salt",
-        (F.sum("__n").over(W.partitionBy(*key).orderBy("__salt")) - F.col("__n")).alias("__before"),
+        (F.sum("__n").over(Window.partitionBy(*key).orderBy("__salt")) - F.col("__n")).alias("__before"),
     )
-    inner = salted.withColumn("__at", F.row_number().over(W.partitionBy(*key, "__salt").orderBy(*order)))
+    inner = salted.withColumn("__at", F.row_number().over(Window.partitionBy(*key, "__salt").orderBy(*order)))
     return inner.join(before, [*key, "__salt"]).withColumn(out, F.col("__before") + F.col("__at") - 1).drop("__salt", "__n", "__before", "__at")
+
+
+by_value(__name__)

@@ -123,10 +123,10 @@ def predict(docs: DataFrame, model: Model, text: str = "text", doc_id: str = "do
     A null text, or one without a letter, is ``und`` with score 0. Of languages
     that tie the first by name wins. Repeated rows give repeated results.
     """
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = docs.sparkSession.sparkContext.broadcast((model.langs, model.words, model.grams))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, cache = shared.value, {}
+        known, cache = Model(*shared.value), {}
         for batch in batches:
             out = [known.predict(t.as_py(), cache) for t in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x[0] for x in out], pa.string()), pa.array([x[1] for x in out], pa.float64())], names=["doc_id", "lang_pred", "score"])
@@ -150,11 +150,11 @@ def keep_identified(docs: DataFrame, text: str = "text", lang: str = "lang", doc
     """``docs`` without the rows whose language is unknown or less than ``least``
     probable; columns unchanged. One pass: rows carry their own verdict."""
     model = train(docs, ~held_out(doc_id), text, lang, doc_id)
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = docs.sparkSession.sparkContext.broadcast((model.langs, model.words, model.grams))
     at = docs.columns.index(text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, cache = shared.value, {}
+        known, cache = Model(*shared.value), {}
         for batch in batches:
             out = [known.predict(t.as_py(), cache) for t in batch.column(at)]
             yield batch.filter(pa.array([name != UNKNOWN and score >= least for name, score in out], pa.bool_()))

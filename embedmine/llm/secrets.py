@@ -8,6 +8,7 @@ it, and joins the findings back to all paths that hold the blob.
 
 from __future__ import annotations
 
+import uuid
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -121,8 +122,6 @@ def spelled(found: Column) -> Column:
 
 def secret_spans(docs: DataFrame, ledger: str | None = None, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
     """doc_id, n_assign, n_access, n_hex, base_sha256, spans of every row."""
-    import uuid
-
     ledger = ledger or f"{scratch_root(docs.sparkSession)}/ledger-{uuid.uuid4().hex}"
     found = scan_versions(docs, ledger, text, doc_id)
     base = [r.kind for r in RULES if r.base]
