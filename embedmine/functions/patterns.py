@@ -11,7 +11,6 @@ from __future__ import annotations
 
 import sys
 from collections.abc import Iterator
-from functools import lru_cache
 
 import pyarrow as pa
 from pyspark import cloudpickle
@@ -39,9 +38,22 @@ def edge_pattern(code: str) -> tuple:
     return tuple(map(int, labels.split(","))), tuple((*sorted(map(int, ends.split("-"))), int(label)) for ends, label in parts)
 
 
-@lru_cache(maxsize=100_000)
+#: Forms already computed in this process, up to MEMO of them.
+MEMO = 100_000
+_known: dict[tuple, tuple] = {}
+
+
 def canonical(labels: tuple[int, ...], edges: tuple[tuple[int, int, int], ...]) -> tuple:
-    """(form, positions, orbits) of a pattern."""
+    """(form, positions, orbits) of a pattern, remembered across steps."""
+    key = (labels, edges)
+    if key not in _known:
+        if len(_known) >= MEMO:
+            _known.clear()
+        _known[key] = compute_canonical(labels, edges)
+    return _known[key]
+
+
+def compute_canonical(labels: tuple[int, ...], edges: tuple[tuple[int, int, int], ...]) -> tuple:
     n = len(labels)
     near: list[list[tuple[int, int]]] = [[] for _ in range(n)]
     for a, b, e in edges:
@@ -91,9 +103,9 @@ def spelled(form: tuple) -> str:
     return ",".join(f"{a}-{b}:{e}" for a, b, e in edges) + "|" + ",".join(map(str, labels))
 
 
-def described(labels: tuple, edges: tuple) -> tuple:
-    """The columns of CANON."""
-    form, positions, orbit = canonical(labels, edges)
+def described(labels: tuple, edges: tuple, fresh: bool = False) -> tuple:
+    """The columns of CANON; ``fresh`` computes the form anew."""
+    form, positions, orbit = (compute_canonical if fresh else canonical)(labels, edges)
     degree = [0] * len(labels)
     for a, b, _ in edges:
         degree[a] += 1

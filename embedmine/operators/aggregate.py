@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -33,18 +34,11 @@ def count_by_pattern(f: DataFrame, k: int | None) -> DataFrame:
 
 def count_one_level(f: DataFrame, k: int) -> DataFrame:
     """The same without the first level: a canonical form for every embedding (for the ablation)."""
-    import pyarrow as pa
-
     labelled = "labels" in f.columns
 
     def run(batches):
         for batch in batches:
-            patterns.canonical.cache_clear()
-            rows = batch.to_pylist()
-            forms = []
-            for r in rows:
-                patterns.canonical.cache_clear()
-                forms.append(patterns.described(*patterns.vertex_pattern(r["code"], k, r.get("labels"))))
+            forms = [patterns.described(*patterns.vertex_pattern(r["code"], k, r.get("labels")), fresh=True) for r in batch.to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in forms], t) for i, t in enumerate((pa.string(), pa.int32(), pa.int32(), pa.string(), pa.string()))], names=["canon", *PATTERN])
 
     forms = f.select("code", *(["labels"] if labelled else [])).mapInArrow(run, "canon string, k int, n_edges int, degs string, lbls string")
