@@ -58,9 +58,9 @@ def main() -> None:
         "cliques4_similar": lambda: total(cliques.clique_counts(similar, 4)),
         "cliques5_docs": lambda: total(cliques.clique_counts(docs, 5)),
         "fsm_copart_theta10_3_edges": lambda: sum(f.count() for f in fsm.frequent_subgraphs(copart, 10, 3).embeddings.values()),
-        "fsm_custsupp_theta100": lambda: sum(f.count() for f in fsm.frequent_subgraphs(custsupp, 100, 2).embeddings.values()),
-        "motifs3_two_level": lambda: total(motifs.count_motifs(similar, 3)),
-        "motifs3_one_level": lambda: total(motifs.count_motifs(similar, 3, two_level=False)),
+        "fsm_custsupp_theta20": lambda: sum(f.count() for f in fsm.frequent_subgraphs(custsupp, 20, 2).embeddings.values()),
+        "motifs3_two_level": lambda: total(motifs.count_motifs(dense, 3)),
+        "motifs3_one_level": lambda: total(motifs.count_motifs(dense, 3, two_level=False)),
         "motifs3_engine_lists": lambda: total(explore(similar, motifs.app(3)).finals["n"]),
         "motifs3_engine_paths": lambda: total(explore(similar, motifs.app(3), store="paths").finals["n"]),
         "path_store_build": lambda: layered.build(level3, 3).count(),

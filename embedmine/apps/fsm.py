@@ -35,13 +35,12 @@ def frequent_subgraphs(g: PropertyGraph, support: int, max_edges: int | None = N
     while True:
         if max_vertices is not None:
             now = now.where(F.size(expand.member_vertices(k)) <= max_vertices)
-        now = written(now, f"candidates-{k}")
+        now = written(expand.with_code(now, k, labels), f"candidates-{k}")
         patterns, quick = aggregate.support_at_least(now, k, support, labels)
-        kept = written(now.withColumn("code", expand.edge_code(k, labels)).join(F.broadcast(quick) if quick.count() <= 100_000 else quick, "code").drop("code"), f"level-{k}")
+        kept = written(now.join(quick, "code").drop("code"), f"level-{k}")
         found = patterns.withColumn("size", F.lit(k))
         if stats:
-            quick_codes = now.select(expand.edge_code(k, labels).alias("code")).distinct()
-            out.funnel.append({"size": k, "generated": now.count(), "quick": quick_codes.count(), "frequent": patterns.count(), "kept": kept.count()})
+            out.funnel.append({"size": k, "generated": now.count(), "quick": now.select("code").distinct().count(), "frequent": patterns.count(), "kept": kept.count()})
         out.patterns = found if out.patterns is None else out.patterns.unionByName(found)
         out.embeddings[k] = kept
         if (max_edges is not None and k >= max_edges) or kept.isEmpty():

@@ -79,11 +79,11 @@ def frequent_subgraphs(g: PropertyGraph, support: int, max_edges: int, depth_fir
     sent = 0
     out = None
     for k in range(1, max_edges + 1):
-        now = written(now, f"owned-{k}")
+        now = written(expand.with_code(now, k), f"owned-{k}")
         frequent, quick = aggregate.support_at_least(now, k, support)
         row = frequent.select(F.lit(k).alias("size"), "canon", *PATTERN, "support")
         out = row if out is None else out.unionByName(row)
-        kept = written(now.withColumn("code", expand.edge_code(k)).join(quick, "code").drop("code"), f"kept-{k}")
+        kept = written(now.join(quick, "code").drop("code"), f"kept-{k}")
         if k == max_edges or kept.isEmpty():
             break
         forms = [r["canon"] for r in frequent.select("canon").orderBy("canon").collect()] if depth_first else [None]

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from ..functions import patterns
 from ..plans.scratch import written
-from .expand import edge_code, member_vertices
+from .expand import member_vertices, with_code
 
 PATTERN = ["k", "n_edges", "degs", "lbls"]
 
@@ -47,7 +47,7 @@ def count_one_level(f: DataFrame, k: int) -> DataFrame:
 
 def domains(f: DataFrame, k: int, labels: str = "vertex") -> DataFrame:
     """Distinct (code, position, vid) of edge-mode embeddings: the first level of the domains' union."""
-    return f.select(edge_code(k, labels).alias("code"), F.posexplode(member_vertices(k)).alias("pos", "vid")).distinct()
+    return with_code(f, k, labels).select("code", F.posexplode(member_vertices(k)).alias("pos", "vid")).distinct()
 
 
 def domain_sizes(quick_domains: DataFrame, forms: DataFrame) -> DataFrame:
@@ -65,12 +65,12 @@ def support(quick_domains: DataFrame, forms: DataFrame) -> DataFrame:
 
 def support_at_least(f: DataFrame, k: int, threshold: int, labels: str = "vertex") -> tuple[DataFrame, DataFrame]:
     """(patterns with support, frequent quick codes). Patterns whose embeddings, times the
-    vertices of an orbit, cannot reach the threshold are left out before the distinct."""
-    coded = f.withColumn("code", edge_code(k, labels))
+    vertices of an orbit, cannot reach the threshold are left out before the distinct. ``f`` may bring its codes."""
+    coded = f if "code" in f.columns else with_code(f, k, labels)
     counts = written(coded.groupBy("code").agg(F.count(F.lit(1)).alias("n")), "quick")
     forms = written(patterns.canonicalize(counts), "forms")
     hopeful = counts.join(forms, "code").groupBy("canon", "k").agg(F.sum("n").alias("n")).where(F.col("n") * F.col("k") >= threshold).select("canon")
-    forms = written(forms.join(hopeful, "canon", "left_semi"), "forms")
+    forms = forms.join(hopeful, "canon", "left_semi")
     images = coded.join(forms.select("code"), "code", "left_semi").select("code", F.posexplode(member_vertices(k)).alias("pos", "vid")).distinct()
     frequent = written(support(images, forms).where(F.col("support") >= threshold), "support")
     return frequent, forms.join(frequent.select("canon"), "canon", "left_semi").select("code", "canon")
@@ -78,7 +78,7 @@ def support_at_least(f: DataFrame, k: int, threshold: int, labels: str = "vertex
 
 def approximate_support(f: DataFrame, k: int, labels: str = "vertex", error: float = 0.02) -> DataFrame:
     """Support from distinct-count sketches: a cheap pre-test; confirm exactly near the threshold."""
-    coded = f.select(edge_code(k, labels).alias("code"), F.posexplode(member_vertices(k)).alias("pos", "vid"))
+    coded = with_code(f, k, labels).select("code", F.posexplode(member_vertices(k)).alias("pos", "vid"))
     forms = patterns.canonicalize(coded.select("code").distinct())
     of = forms.select("code", "canon", *PATTERN, F.posexplode("orbit").alias("pos", "orb"))
     sizes = coded.join(of, ["code", "pos"]).groupBy("canon", *PATTERN, "orb").agg(F.approx_count_distinct("vid", error).alias("size"))

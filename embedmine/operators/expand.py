@@ -88,15 +88,21 @@ def edge_candidates(f: DataFrame, g: PropertyGraph, k: int) -> DataFrame:
     )
 
 
-def edge_code(k: int, labels: str = "vertex") -> Column:
+def edge_code(k: int, labels: str = "vertex", members: Column | None = None) -> Column:
     """Quick code: for each word the numbers (by first visit) of its ends and its label; then the vertex labels."""
+    members = member_vertices(k) if members is None else members
     ends = F.array(*[F.col(f"{c}{i}") for i in range(k) for c in "ab"])
     marks = F.array(*[F.col(f"{c}{i}") for i in range(k) for c in "pq"])
-    number = lambda c: (F.array_position(member_vertices(k), F.col(c)) - 1).cast("string")
+    number = lambda c: (F.array_position(members, F.col(c)) - 1).cast("string")
     parts = [F.concat(number(f"a{i}"), F.lit("-"), number(f"b{i}"), F.lit(":"), F.col(f"e{i}").cast("string") if labels in ("edge", "both") else F.lit("0")) for i in range(k)]
-    visited = F.transform(member_vertices(k), lambda v: F.element_at(marks, F.array_position(ends, v).cast("int")).cast("string") if labels in ("vertex", "both") else F.lit("0"))
+    visited = F.transform(members, lambda v: F.element_at(marks, F.array_position(ends, v).cast("int")).cast("string") if labels in ("vertex", "both") else F.lit("0"))
     return F.concat(F.concat_ws(",", *parts), F.lit("|"), F.concat_ws(",", visited))
 
 
+def with_code(f: DataFrame, k: int, labels: str = "vertex") -> DataFrame:
+    """Edge-mode embeddings with their quick code; the visiting order is worked out once for a row."""
+    return f.withColumn("__members", member_vertices(k)).withColumn("code", edge_code(k, labels, F.col("__members"))).drop("__members")
+
+
 def touched(mask: Column, k: int) -> list[Column]:
     return [bit(mask, i) for i in range(k)]

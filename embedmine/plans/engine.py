@@ -84,7 +84,7 @@ def _candidates(g: PropertyGraph, app: MiningApp, frontier: DataFrame | None, si
 
 
 def _coded(f: DataFrame, view: EmbeddingView) -> DataFrame:
-    return f if view.mode == "vertex" else f.withColumn("code", expand.edge_code(view.size, "both"))
+    return f if view.mode == "vertex" else expand.with_code(f, view.size, "both")
 
 
 def _reduced(f: DataFrame, view: EmbeddingView, e: Emit, two_level: bool) -> DataFrame:
