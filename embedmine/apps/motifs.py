@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.canonical import words
+from ..functions import patterns
 from ..operators import aggregate, balance, expand
 from ..plans.model import PATTERN, Emit, MiningApp
 from ..plans.scratch import written
@@ -73,6 +74,17 @@ def count_by_graph(g: PropertyGraph, size: int, graph_of) -> DataFrame:
     return f.groupBy(graph_of(F.col("w0")).alias("graph"), F.bit_count("code").cast("int").alias("n_edges")).agg(F.count(F.lit(1)).alias("n"))
 
 
+def graph_support(g: PropertyGraph, size: int, graph_of, labelled: bool = False) -> DataFrame:
+    """canon, PATTERN, support for a collection: in how many graphs a motif occurs. Another anti-monotone
+    measure than images: a graph that lacks a pattern lacks its extensions."""
+    f = embeddings(g, size, labelled)
+    keys = ["code", "labels"] if labelled else ["code"]
+    held = written(f.select(*keys, graph_of(F.col("w0")).alias("graph")).distinct(), "held")
+    forms = patterns.canonicalize(held, size)
+    once = held.join(forms, keys).select("canon", *aggregate.PATTERN, "graph").distinct()
+    return once.groupBy("canon", *aggregate.PATTERN).agg(F.count(F.lit(1)).alias("support"))
+
+
 def aggregation_stats(g: PropertyGraph, size: int, labelled: bool = False) -> DataFrame:
     """k, n_embeddings, n_quick, n_canonical, reduction: the work that two levels save."""
     f = embeddings(g, size, labelled)

@@ -135,6 +135,7 @@ def oracle_sql() -> dict[str, str]:
     out["motif_top2"] = build("copart", _SETS3, _SETS4, _DEGS4, select=f"{_MOTIF4} ORDER BY n DESC, degs LIMIT 2")
     out["motifs3_labelled_copart"] = build("copart", _SETS3, _ORDER3, select="SELECT CAST(3 AS BIGINT) AS k, CAST(n_edges AS BIGINT) AS n_edges, CASE n_edges WHEN 2 THEN '1-1-2' ELSE '2-2-2' END AS degs, array_to_string(list_sort([a.label, b.label, c.label]), '|') AS lbls, count(*) AS n FROM f3 JOIN lab a ON a.vid = w0 JOIN lab b ON b.vid = w1 JOIN lab c ON c.vid = w2 GROUP BY ALL")
     out["motifs3_by_graph"] = "SELECT conv_id, CAST(2 AS BIGINT) AS n_edges, count(DISTINCT turn) - 2 AS n FROM conversations GROUP BY conv_id HAVING count(DISTINCT turn) > 2"
+    out["graph_support_conversations"] = build("conversations", select="SELECT array_to_string(list_sort([la, lc, lb]), '|') AS lbls, max(support) AS support FROM (SELECT least(a.label, b.label) AS la, c.label AS lc, greatest(a.label, b.label) AS lb, count(DISTINCT c.vid // 100000) AS support FROM e p JOIN e q ON p.dst = q.src JOIN lab a ON a.vid = p.src JOIN lab c ON c.vid = p.dst JOIN lab b ON b.vid = q.dst GROUP BY ALL) GROUP BY lbls")
     out["vertex_embeddings3"] = build("similar", _SETS3, _ORDER3, select="SELECT w0 AS v1, w1 AS v2, w2 AS v3 FROM f3")
     out["store_roundtrip"] = out["store_roundtrip_single"] = out["vertex_embeddings3"]
     out["dedupe_global"] = build("similar", _SETS3, select="SELECT x AS v1, y AS v2, z AS v3 FROM s3")

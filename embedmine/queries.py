@@ -98,6 +98,14 @@ def motifs3_by_graph(s, d):
     return found.select(F.col("graph").alias("conv_id"), "n_edges", "n")
 
 
+@query
+def graph_support_conversations(s, d):
+    """In how many conversations each labelled chain of three turns occurs, by its roles."""
+    g = derived.many_graphs(s, d)
+    found = text_labels(motifs.graph_support(g, 3, lambda v: F.floor(v / 100_000), labelled=True), g)
+    return found.groupBy("lbls").agg(F.max("support").alias("support"))
+
+
 @query
 def motifs_upto4_similar(s, d):
     return motifs.count_motifs(sim(s, d), 4, "upto").select(MOTIF)
