@@ -156,6 +156,7 @@ def shard(docs: DataFrame, shards: int = SHARDS, text: str = "text", doc_id: str
     salts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     body = text_or_empty(text)
     rows = docs.select(
+        F.spark_partition_id().alias("run"),
         F.monotonically_increasing_id().alias("row"),
         F.col(doc_id).alias("doc_id"),
         (F.octet_length(body) + OVERHEAD).cast("long").alias("size"),
@@ -165,9 +166,12 @@ def shard(docs: DataFrame, shards: int = SHARDS, text: str = "text", doc_id: str
     rows = written(rows, "sizes")
     total = rows.agg(F.sum("size")).first()[0] or 0
     part = max(1, total // shards // 16)
-    groups = rows.groupBy("group").agg(F.sum("size").alias("bytes"))
+    # A group of very many rows has one entry for each run, so that no task gathers its rows.
+    entries = rows.groupBy("run", "group").agg(F.sum("size").alias("bytes"))
+    groups = entries.groupBy("group").agg(F.sum("bytes").alias("bytes"))
     large = groups.where(F.col("bytes") > part).select("group", F.ceil(F.col("bytes") / part).alias("parts"))
-    rows = rows.join(large, "group", "left").withColumn("part", F.coalesce(F.pmod(F.xxhash64("row"), F.col("parts")), F.lit(0))).drop("parts")
+    large = entries.select("run", "group").join(large, "group")
+    rows = rows.join(large, ["run", "group"], "left").withColumn("part", F.coalesce(F.pmod(F.xxhash64("row"), F.col("parts")), F.lit(0))).drop("parts", "run")
     units = written(rows.groupBy("group", "part").agg(F.sum("size").alias("bytes")), "units")
 
     def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
