@@ -238,7 +238,7 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
     documents reachable by links; component_tag names that document's text.
     Null and empty texts have fingerprint zero and are linked like any other.
     """
-    rows = written(fingerprints(docs, text, doc_id, shingle), "fingerprints")
+    rows = written(fingerprints(docs, text, doc_id, shingle).withColumn("run", F.spark_partition_id()), "fingerprints")
     first = F.min(F.struct(F.col("doc_id").isNull().alias("z"), F.col("doc_id").alias("i"), F.col("tag").alias("g"))).alias("best")
     distinct = written(rows.groupBy("fp").agg(first), "distinct-fingerprints")
     roots = components(near_links(distinct))
@@ -246,7 +246,9 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
     least = grouped.groupBy("root").agg(F.min("best").alias("class_best"))
     classes = grouped.select("fp", "root").join(least, "root").select("fp", "class_best")
     verdict = distinct.join(classes, "fp", "left").select("fp", F.coalesce("class_best", "best").alias("best"))
-    return rows.join(verdict, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.col("best.i").alias("component_id"), F.col("best.g").alias("component_tag"), "tag")
+    # A fingerprint of very many rows has one entry for each run, so that no task gathers its rows.
+    entries = rows.select("run", "fp").distinct().join(verdict, "fp")
+    return rows.join(entries, ["run", "fp"]).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.col("best.i").alias("component_id"), F.col("best.g").alias("component_tag"), "tag")
 
 
 def drop_near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
