@@ -27,7 +27,8 @@ def frequent_subgraphs(g: PropertyGraph, support: int, max_edges: int | None = N
 
     Size counts edges; ``max_vertices`` is a second bound. A step's support is
     known before its embeddings are written, so only those of frequent patterns
-    are. The last size gets the same treatment and is then not expanded.
+    are. The last size gets the same treatment and is then not expanded. Where
+    nothing is frequent any more, the sizes up to ``max_edges`` have empty tables.
     """
     out = FrequentSubgraphs()
     now = expand.seed_edges(g)
@@ -44,9 +45,13 @@ def frequent_subgraphs(g: PropertyGraph, support: int, max_edges: int | None = N
         out.patterns = found if out.patterns is None else out.patterns.unionByName(found)
         out.embeddings[k] = kept
         if (max_edges is not None and k >= max_edges) or kept.isEmpty():
-            return out
+            break
         now = expand.edge_candidates(kept.drop("canon"), g, k).where("ok").drop("ok")
         k += 1
+    for size in range(k, max_edges or 0):
+        kept = expand.edge_candidates(kept.where(F.lit(False)), g, size).drop("ok").withColumn("canon", F.lit(""))
+        out.embeddings[size + 1] = kept
+    return out
 
 
 def support_sweep(g: PropertyGraph, thresholds: list[int], max_edges: int, labels: str = "vertex") -> DataFrame:
