@@ -80,7 +80,7 @@ class Model:
 
     def predict(self, text: str | None, cache: dict) -> tuple[str, float]:
         counts = Counter(LETTERS.findall(text.lower())) if text else {}
-        if not counts or not self.langs:
+        if not self.langs or not any(c.isalpha() for word in counts for c in word):  # numerals are no letters
             return UNKNOWN, 0.0
         total = [0.0] * len(self.langs)
         for word, c in counts.items():
