@@ -7,9 +7,9 @@ wanted number of shards suffices, so the shards are filled alike.
 
 Groups of equal size are interchangeable, so the packing runs on the histogram
 of sizes: of ``n`` groups of one size the tightest bin takes as many as it can
-at once. Distinct sizes number at most the square root of twice all bytes. A
-group larger than a 16th of a shard's share is first divided into parts of about that
-size, for it could not be shared out evenly otherwise.
+at once. Distinct sizes number at most the square root of twice all bytes. Only a
+group heavier than a shard's share, which no shard could hold, is divided: into parts
+of as many rows as the share holds and one part of the rows that are left.
 """
 
 from __future__ import annotations
@@ -156,7 +156,6 @@ def shard(docs: DataFrame, shards: int = SHARDS, text: str = "text", doc_id: str
     salts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     body = text_or_empty(text)
     rows = docs.select(
-        F.spark_partition_id().alias("run"),
         F.monotonically_increasing_id().alias("row"),
         F.col(doc_id).alias("doc_id"),
         (F.octet_length(body) + OVERHEAD).cast("long").alias("size"),
@@ -165,14 +164,16 @@ def shard(docs: DataFrame, shards: int = SHARDS, text: str = "text", doc_id: str
     )
     rows = written(rows, "sizes")
     total = rows.agg(F.sum("size")).first()[0] or 0
-    part = max(1, total // shards // 16)
-    # A group of very many rows has one entry for each run, so that no task gathers its rows.
-    entries = rows.groupBy("run", "group").agg(F.sum("size").alias("bytes"))
-    groups = entries.groupBy("group").agg(F.sum("bytes").alias("bytes"))
-    large = groups.where(F.col("bytes") > part).select("group", F.ceil(F.col("bytes") / part).alias("parts"))
-    large = entries.select("run", "group").join(large, "group")
-    rows = rows.join(large, ["run", "group"], "left").withColumn("part", F.coalesce(F.pmod(F.xxhash64("row"), F.col("parts")), F.lit(0))).drop("parts", "run")
-    units = written(rows.groupBy("group", "part").agg(F.sum("size").alias("bytes")), "units")
+    share = max(1, -(-total // shards))
+    # Groups of more than a 16th of the share, 16 a shard at most, are broadcast, so that no task gathers their rows.
+    heavy = rows.groupBy("group").agg(F.sum("size").alias("bytes")).where(F.col("bytes") * 16 > share)
+    heavy = written(heavy.select("group", (F.col("bytes") > share).alias("divided")), "heavy")
+    rows = rows.join(F.broadcast(heavy), "group", "left")
+    divided = ranked(rows.where("divided"), ["group"], ["row"], "rank", salts)  # rows of a group are of one size
+    divided = divided.withColumn("part", F.floor(F.col("rank") / F.greatest(F.lit(1), F.floor(F.lit(share) / F.col("size"))))).drop("rank")
+    rows = rows.where("divided is null or not divided").withColumn("part", F.lit(0).cast("long")).unionByName(divided)
+    rows = rows.withColumn("heavy", F.col("divided").isNotNull()).drop("divided")
+    units = written(rows.groupBy("group", "part", "heavy").agg(F.sum("size").alias("bytes")), "units")
 
     def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found = [x for b in batches for x in zip(b.column(0).to_pylist(), b.column(1).to_pylist())]
@@ -187,6 +188,9 @@ def shard(docs: DataFrame, shards: int = SHARDS, text: str = "text", doc_id: str
     plan = sizes.coalesce(1).mapInArrow(fit, "bytes long, low long, high long, shard long")
     plan = written(plan, "plan").groupBy("bytes").agg(F.collect_list(F.struct("low", "high", "shard")).alias("plan"))  # a size is in each shard once at most
     placed = ranked(units, ["bytes"], ["group", "part"], "rank", salts).join(plan, "bytes")
-    placed = placed.select("group", "part", F.filter("plan", lambda x: (F.col("rank") >= x["low"]) & (F.col("rank") < x["high"]))[0]["shard"].cast("int").alias("shard"))
-    rows = written(rows.join(placed, ["group", "part"]).drop("group", "part"), "placed")
+    placed = placed.select("group", "part", "heavy", F.filter("plan", lambda x: (F.col("rank") >= x["low"]) & (F.col("rank") < x["high"]))[0]["shard"].cast("int").alias("shard"))
+    placed = written(placed, "placed-units")
+    light = rows.where("not heavy").drop("heavy", "part").join(placed.where("not heavy").select("group", "shard"), "group").drop("group")
+    rows = rows.where("heavy").drop("heavy").join(F.broadcast(placed.where("heavy").drop("heavy")), ["group", "part"]).drop("group", "part")
+    rows = written(light.unionByName(rows), "placed")
     return ranked(rows, ["shard"], ["row"], "slot", salts).select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", F.col("slot").cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"))
