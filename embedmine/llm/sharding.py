@@ -3,7 +3,8 @@
 Equal texts form a group that stays together. Groups are taken by falling size;
 each enters the bin with the least remaining capacity that still holds it, found
 in a balanced tree. The capacity is the smallest, by bisection, for which the
-wanted number of shards suffices, so the shards are filled alike.
+wanted number of shards suffices, so the shards are filled alike. A unit above the
+share has a shard of its own, and the capacity is that of the shards left.
 
 Groups of equal size are interchangeable, so the packing runs on the histogram
 of sizes: of ``n`` groups of one size the tightest bin takes as many as it can
@@ -131,7 +132,7 @@ def best_fit(sizes: list[tuple[int, int]], capacity: int, bins: int | None = Non
     return out
 
 
-def level_fit(sizes: list[tuple[int, int]], bins: int) -> list[tuple[int, int, int]]:
+def smallest_fit(sizes: list[tuple[int, int]], bins: int) -> list[tuple[int, int, int]]:
     """Best fit at the smallest capacity for which ``bins`` suffice."""
     total = sum(s * n for s, n in sizes)
     low = max(-(-total // bins), max((s for s, n in sizes if n), default=0))
@@ -147,6 +148,35 @@ def level_fit(sizes: list[tuple[int, int]], bins: int) -> list[tuple[int, int, i
     return best
 
 
+def level_fit(sizes: list[tuple[int, int]], bins: int) -> list[tuple[int, int, int]]:
+    """(size, count) by falling size to (size, bin, how many), the bins as level as units allow.
+
+    A unit above the share of the bins that are left has a bin of its own; the
+    others meet their own smallest capacity. Where that would leave a bin empty
+    (few units, of one size, say), its fullest bin is kept and the rest levelled again.
+    """
+    left, out, first = {s: n for s, n in sizes if n}, [], 0
+    while left:
+        total, largest = sum(s * n for s, n in left.items()), max(left)
+        if largest * (bins - first) > total:
+            kept = [(largest, first, 1)]
+        else:
+            found = smallest_fit(sorted(left.items(), reverse=True), bins - first)
+            loads: dict[int, int] = {}
+            for size, b, n in found:
+                loads[b] = loads.get(b, 0) + size * n
+            if len(loads) == bins - first:
+                return out + [(size, first + b, n) for size, b, n in found]
+            fullest = max(loads, key=loads.get)
+            kept = [(size, first, n) for size, b, n in found if b == fullest]
+        for size, _, n in kept:
+            left[size] -= n
+            if not left[size]:
+                del left[size]
+        out, first = out + kept, first + 1
+    return out
+
+
 def shard(docs: DataFrame, shards: int = SHARDS, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
     """One row per row of ``docs``: doc_id, size, text_crc32, law ("bytes"), shard, slot, grown_shard (null).
 
@@ -178,7 +208,7 @@ def shard(docs: DataFrame, shards: int = SHARDS, text: str = "text", doc_id: str
     def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found = [x for b in batches for x in zip(b.column(0).to_pylist(), b.column(1).to_pylist())]
         at, out = {}, []
-        for size, bin_, n in level_fit(sorted(found, reverse=True), shards) if found else ():
+        for size, bin_, n in level_fit(sorted(found, reverse=True), shards):
             out.append((size, at.get(size, 0), at.get(size, 0) + n, bin_))
             at[size] = at.get(size, 0) + n
         for i in range(0, len(out), 50_000):
