@@ -12,6 +12,8 @@ their rank among those of equal length.
 from __future__ import annotations
 
 import base64
+import json
+import os
 import re
 import zlib
 from array import array
@@ -39,19 +41,39 @@ def default_vocabulary() -> str:
     return public_tokenizers.path("byte_bpe_50k.tiktoken")
 
 
+def added_tokens(vocabulary: str) -> dict[str, int]:
+    """The added tokens of the JSON file beside the rank file (none without one): content to id."""
+    beside = os.path.splitext(vocabulary)[0] + ".json"
+    if not os.path.exists(beside):
+        return {}
+    with open(beside, encoding="utf-8") as lines:
+        added = json.load(lines)["added_tokens"]
+    for token in added:
+        if token["single_word"] or token["lstrip"] or token["rstrip"] or " " in token["content"]:
+            raise ValueError(f"added token with rules that are not implemented: {token}")
+    return {token["content"]: token["id"] for token in added}
+
+
 class Encoder:
-    """Ids of the byte-level BPE as little-endian unsigned 32-bit bytes, with a cache of words."""
+    """Ids of the byte-level BPE as little-endian unsigned 32-bit bytes, with a cache of words.
+
+    Texts are split at the ``added`` tokens (content to id) first; without
+    ``added``, such strings are text like any other.
+    """
 
-    def __init__(self, vocabulary: str):
+    def __init__(self, vocabulary: str, added: Mapping[str, int] | None = None):
         import public_tokenizers
         import tiktoken
 
         with open(vocabulary, "rb") as lines:
             ranks = {base64.b64decode(word): int(rank) for word, rank in map(bytes.split, lines)}
-        self.bpe = tiktoken.Encoding("byte_bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+        self.bpe = tiktoken.Encoding("byte_bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=dict(added or {}))
+        self.added = self.bpe.special_tokens_set
         self.known: dict[str, bytes] = {}
 
     def of(self, text: str) -> bytes:
+        if any(token in text for token in self.added):
+            return array("I", self.bpe.encode(text, allowed_special=self.added)).tobytes()
         return array("I", self.bpe.encode_ordinary(text)).tobytes()
 
     def encode(self, text: str) -> bytes:
@@ -71,7 +93,7 @@ class Encoder:
 def pieces(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", capacity: int = CAPACITY, vocabulary: str | None = None, keep_ids: bool = True) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32 (and ids) of every document's pieces.
 
-    Ids end with END_ID; a null text counts as empty, so every row has one piece
+    Added tokens of the vocabulary are found inside texts. Ids end with END_ID; a null text counts as empty, so every row has one piece
     at least. Longer documents are cut into pieces of ``capacity``; the first is shorter.
     """
     vocabulary = vocabulary or default_vocabulary()
@@ -79,7 +101,7 @@ def pieces(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", capacity
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cache = worker_cache("encoders")
         if vocabulary not in cache:
-            cache[vocabulary] = Encoder(vocabulary)
+            cache[vocabulary] = Encoder(vocabulary, added_tokens(vocabulary))
         encoder, end = cache[vocabulary], array("I", [END_ID]).tobytes()
         for batch in batches:
             at, piece, start, length, crc, ids = [], array("i"), array("q"), array("q"), array("q"), []
