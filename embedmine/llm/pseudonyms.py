@@ -16,20 +16,39 @@ from pyspark.sql import functions as F
 from .common import text_or_empty
 
 ROUNDS = 10
+#: Countries by the length of their IBANs: a grouped one ends where its length says, whatever follows.
+IBAN_LENGTHS = {
+    15: "NO", 16: "BE", 18: "DK|FI|FK|FO|GL|NL|SD", 19: "MK|SI", 20: "AT|BA|EE|KZ|LT|LU|MN|XK", 21: "CH|HR|LI|LV", 22: "BG|BH|CR|DE|GB|GE|IE|ME|RS|VA",
+    23: "AE|GI|IL|IQ|OM|SO|TL", 24: "AD|CZ|ES|MD|PK|RO|SA|SE|SK|TN|VG", 25: "LY|PT|ST", 26: "IS|TR", 27: "BI|DJ|FR|GR|IT|MC|MR|SM",
+    28: "AL|AZ|BY|CY|DO|GT|HN|HU|LB|NI|PL|SV", 29: "BR|EG|PS|QA|UA", 30: "JO|KW|MU|YE", 31: "MT|SC", 32: "LC", 33: "RU",
+}
+GROUPED = "|".join(f"(?:{c})[0-9]{{2}}(?:[ -][A-Z0-9]{{4}}){{{n // 4 - 1}}}" + f"[ -][A-Z0-9]{{{n % 4}}}" * (n % 4 > 0) for n, c in IBAN_LENGTHS.items())
+MONTH, DAY = "(?:January|February|March|April|May|June|July|August|September|October|November|December)", "(?:[12][0-9]|3[01]|[1-9])"
 #: The forms that are looked for, in this order at one place.
 FORMS = {
     "email": r"[A-Za-z0-9][A-Za-z0-9._%+-]*@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}",
     "ip": r"(?<![0-9A-Za-z.])(?:(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])\.){3}(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])(?![0-9A-Za-z]|\.[0-9])",
     "iban": r"(?<![0-9A-Za-z])[A-Z]{2}[0-9]{2}[A-Z0-9]{11,30}(?![0-9A-Za-z])",
+    "iban_grouped": rf"(?<![0-9A-Za-z])(?:{GROUPED})(?![0-9A-Za-z])",
     "phone_plan": r"(?<![0-9A-Za-z+])\+1[ .-]?\(?[0-9]{3}\)?[ .-]?[0-9]{3}[ .-]?[0-9]{4}(?![0-9A-Za-z])",
     "phone": r"(?<![0-9A-Za-z+])\+(?!1[ .(-])[0-9]{1,3}[ .-]?(?:\([0-9]{2,4}\)[ .-]?)?[0-9]{2,4}(?:[ .-]?[0-9]{2,4}){1,3}(?![0-9A-Za-z]|\.[0-9])",
     "phone_local": r"(?<![0-9A-Za-z+])\([0-9]{3}\) ?[0-9]{3}-[0-9]{4}(?![0-9A-Za-z])",
+    "phone_bare": r"(?<![0-9A-Za-z+])(?<![0-9][.-])(?:(?:1-)?[0-9]{3}-[0-9]{3}-[0-9]{4}|(?:1\.)?[0-9]{3}\.[0-9]{3}\.[0-9]{4})(?![0-9A-Za-z]|[.-][0-9])",
     "ssn": r"(?<![0-9A-Za-z-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9A-Za-z-])",
     "date": r"(?<![0-9A-Za-z-])[0-9]{4}-[0-9]{2}-[0-9]{2}(?![0-9A-Za-z-])",
+    "date_dots": r"(?<![0-9A-Za-z])(?<![0-9]\.)[0-3][0-9]\.[01][0-9]\.[0-9]{4}(?![0-9A-Za-z]|\.[0-9])",
+    "date_slashes": r"(?<![0-9A-Za-z])(?<![0-9]/)[0-3][0-9]/[0-3][0-9]/[0-9]{4}(?![0-9A-Za-z]|/[0-9])",
+    "date_month": rf"(?<![0-9A-Za-z]){MONTH} {DAY}, [0-9]{{4}}(?![0-9A-Za-z])",
+    "date_day": rf"(?<![0-9A-Za-z]){DAY} {MONTH} [0-9]{{4}}(?![0-9A-Za-z])",
+    "card_uneven": r"(?<![0-9A-Za-z])[0-9]{4}(?: [0-9]{6} |-[0-9]{6}-)[0-9]{4,5}(?![0-9A-Za-z])",
     "card": r"(?<![0-9A-Za-z])[0-9]{4}(?:[ -]?[0-9]{4}){2}[ -]?[0-9]{1,7}(?![0-9A-Za-z])",
 }
 #: Dates: 270 x 272 days from this one on.
 EPOCH, SPAN_A, SPAN_B = "1900-01-01", 270, 272
+#: How the forms of dates are written. Slashes mean the month first where that is a date.
+WRITTEN = {"date": "yyyy-MM-dd", "date_dots": "dd.MM.yyyy", "date_slashes": "MM/dd/yyyy", "date_month": "MMMM d, yyyy", "date_day": "d MMMM yyyy"}
+#: Days after the 12th in the months from EPOCH to the end of 2100: 10 x 4447, in 2412 months.
+LATE_A, LATE_B, LATE_MONTHS = 10, 4447, 2412
 
 
 def feistel(a: Column, b: Column, mod_a: Column, mod_b: Column, key: Column, tweak: Column, inverse: bool) -> Column:
@@ -100,6 +119,23 @@ def mod97(text: Column) -> Column:
     return F.aggregate(F.split(text, ""), F.lit(0), step)
 
 
+def moved_late(value: Column, key: Column, inverse: bool) -> tuple[Column, Column]:
+    """dd/MM/yyyy with a day after the 12th, which stays so: else the pseudonym could be read with the month first."""
+    start = F.lit(EPOCH).cast("date")
+    before = lambda m: F.datediff(F.add_months(start, m), start).cast("long") - 12 * m
+    date = F.try_to_timestamp(value, F.lit("dd/MM/yyyy")).cast("date")
+    month = (F.year(date) - 1900) * 12 + F.month(date) - 1
+    at = before(month) + F.dayofmonth(date) - 13
+
+    def day(i: Column) -> Column:
+        near = F.floor(i / (LATE_A * LATE_B / LATE_MONTHS)).cast("int")
+        found = F.array_max(F.filter(F.sequence(F.greatest(near - 2, F.lit(0)), near + 2), lambda m: before(m) <= i))
+        return with_struct(found, lambda m: F.date_format(F.date_add(F.add_months(start, m), (i - before(m) + 12).cast("int")), "dd/MM/yyyy"))
+
+    out = with_struct(feistel(F.floor(at / LATE_B), at % LATE_B, F.lit(LATE_A), F.lit(LATE_B), key, F.lit("date|late"), inverse), lambda m: day(m["a"] * LATE_B + m["b"]))
+    return date.isNotNull() & (F.dayofmonth(date) > 12) & (month >= 0) & (month < LATE_MONTHS), out
+
+
 def moved(kind: str, value: Column, key: Column, inverse: bool) -> tuple[Column, Column]:
     """(is it valid, its pseudonym)."""
     if kind == "email":
@@ -117,10 +153,13 @@ def moved(kind: str, value: Column, key: Column, inverse: bool) -> tuple[Column,
         new = F.when(F.length(digits) >= 2, refilled(body, permuted_digits(digits, key, "iban", inverse), F.lit(0))).otherwise(body)
         check = lambda b: F.lpad((98 - mod97(F.concat(b, F.substring(value, 1, 2), F.lit("00")))).cast("string"), 2, "0")
         return valid, with_struct(new, lambda b: F.concat(F.substring(value, 1, 2), check(b), b))
+    if kind == "iban_grouped":
+        valid, new = moved("iban", F.regexp_replace(value, "[ -]", ""), key, inverse)
+        return valid, refilled(value, only_digits(new), F.lit(0))
     if kind.startswith("phone"):
         digits = only_digits(value)
         # The country code stays: what stands before the first blank, bracket or mark (one digit if there is none).
-        code = F.when(value.startswith("+"), F.when(value.rlike(r"^\+[0-9]{1,3}[ .(-]"), F.length(F.regexp_extract(value, r"^\+([0-9]+)", 1))).otherwise(1)).otherwise(0)
+        code = F.when(value.startswith("+"), F.when(value.rlike(r"^\+[0-9]{1,3}[ .(-]"), F.length(F.regexp_extract(value, r"^\+([0-9]+)", 1))).otherwise(1)).when(value.rlike(r"^1[.-]"), 1).otherwise(0)
         own = F.substr(digits, code + 1, F.length(digits))
         return (F.length(digits) >= 8) & (F.length(digits) <= 15), refilled(value, permuted_digits(own, key, "phone", inverse), code)
     if kind == "ssn":
@@ -129,10 +168,13 @@ def moved(kind: str, value: Column, key: Column, inverse: bool) -> tuple[Column,
         a = F.when(area > 666, area - 2).otherwise(area - 1)
         out = with_struct(feistel(a, (group - 1) * 9999 + serial - 1, F.lit(898), F.lit(99 * 9999), key, F.lit("ssn"), inverse), lambda m: F.concat_ws("-", F.lpad(F.when(m["a"] >= 665, m["a"] + 2).otherwise(m["a"] + 1).cast("string"), 3, "0"), F.lpad((F.floor(m["b"] / 9999) + 1).cast("string"), 2, "0"), F.lpad((m["b"] % 9999 + 1).cast("string"), 4, "0")))
         return valid, out
-    if kind == "date":
-        day = F.datediff(F.try_to_timestamp(value, F.lit("yyyy-MM-dd")).cast("date"), F.lit(EPOCH).cast("date")).cast("long")
+    if kind in WRITTEN:
+        day = F.datediff(F.try_to_timestamp(value, F.lit(WRITTEN[kind])).cast("date"), F.lit(EPOCH).cast("date")).cast("long")
         valid = day.isNotNull() & (day >= 0) & (day < SPAN_A * SPAN_B)
-        out = with_struct(feistel(F.floor(day / SPAN_B), day % SPAN_B, F.lit(SPAN_A), F.lit(SPAN_B), key, F.lit("date"), inverse), lambda m: F.date_format(F.date_add(F.lit(EPOCH).cast("date"), (m["a"] * SPAN_B + m["b"]).cast("int")), "yyyy-MM-dd"))
+        out = with_struct(feistel(F.floor(day / SPAN_B), day % SPAN_B, F.lit(SPAN_A), F.lit(SPAN_B), key, F.lit("date"), inverse), lambda m: F.date_format(F.date_add(F.lit(EPOCH).cast("date"), (m["a"] * SPAN_B + m["b"]).cast("int")), WRITTEN[kind]))
+        if kind == "date_slashes":
+            late, new = moved_late(value, key, inverse)
+            return valid | late, F.when(valid, out).otherwise(new)
         return valid, out
     digits = only_digits(value)
     n = F.length(digits)
