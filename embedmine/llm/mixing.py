@@ -49,8 +49,36 @@ def draw(doc_id: Column, text: Column, seed: str = SEED) -> Column:
     return F.conv(F.substring(F.md5(key.cast("binary")), 1, 13), 16, 10).cast("double") / float(1 << 52)
 
 
+def ceiled(cells: DataFrame, order: tuple[str, ...], rate: float) -> DataFrame:
+    """Adds prob: in proportion to weight over tokens, 1 at most, so that the expected tokens are ``rate`` of all."""
+    ordered = Window.partitionBy().orderBy(F.desc("ratio"), *order).rowsBetween(Window.unboundedPreceding, -1)
+    every = Window.partitionBy()
+    state = cells.withColumn("ratio", F.col("weight") / F.col("tokens"))
+    state = state.withColumn("goal", rate * F.sum("tokens").over(every)).withColumn("mass", F.sum("weight").over(every))
+    state = state.withColumn("above_t", F.coalesce(F.sum("tokens").over(ordered), F.lit(0))).withColumn("above_w", F.coalesce(F.sum("weight").over(ordered), F.lit(0.0)))
+    state = state.withColumn("full", (F.col("goal") - F.col("above_t")) * F.col("ratio") > F.col("mass") - F.col("above_w"))
+    left_t = F.col("goal") - F.sum(F.when(F.col("full"), F.col("tokens")).otherwise(0)).over(every)
+    left_w = F.sum(F.when(F.col("full"), 0.0).otherwise(F.col("weight"))).over(every)
+    prob = F.when(F.col("full"), 1.0).when(left_w > 0, F.least(F.lit(1.0), F.greatest(F.lit(0.0), left_t / left_w * F.col("ratio")))).otherwise(0.0)
+    return state.withColumn("prob", prob).drop("ratio", "goal", "mass", "above_t", "above_w", "full")
+
+
+def shortfalls(fitted: DataFrame) -> DataFrame:
+    """dimension, value, target and expected share of the chosen tokens, from the result of :func:`fitted_cells`."""
+    every = Window.partitionBy()
+    out = None
+    for d in DIMENSIONS:
+        rows = fitted.groupBy(F.col(d).alias("value")).agg(F.first(f"want_{d}").alias("want"), F.sum(F.col("prob") * F.col("tokens")).alias("have"))
+        rows = rows.select(F.lit(d).alias("dimension"), "value", (F.col("want") / F.sum("want").over(every)).alias("target"), (F.col("have") / F.sum("have").over(every)).alias("expected"))
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
 def fitted_cells(cells: DataFrame, targets: Mapping[str, Mapping[str, float]] | None = None, rounds: int = ROUNDS, rate: float = RATE) -> DataFrame:
-    """(source, lang, topic, tokens) to the same with weight and prob.
+    """(source, lang, topic, tokens) to the same with weight, prob and the targets in tokens (want_<dimension>).
+
+    A weight is never more than prob 1 can hold. Where a target is out of reach at
+    this rate, the rest is spread over the other values; :func:`shortfalls` tells.
 
     ``targets``: shares by dimension and value; a dimension that is not named
     is tempered. A value that a named dimension lacks has share 0.
@@ -70,25 +98,24 @@ def fitted_cells(cells: DataFrame, targets: Mapping[str, Mapping[str, float]] |
         once = F.row_number().over(Window.partitionBy(d).orderBy(*DIMENSIONS)) == 1
         state = state.withColumn("once", F.when(once, F.col(f"share_{d}")).otherwise(0.0))
         state = state.withColumn(f"want_{d}", F.when(F.sum("once").over(Window.partitionBy()) > 0, F.col(f"share_{d}") / F.sum("once").over(Window.partitionBy()) * total).otherwise(0.0)).drop("once", f"share_{d}")
+    # No value can hold more than all its tokens at probability 1: what it lacks then goes to the other values.
+    for d in DIMENSIONS:
+        values = ceiled(state.groupBy(d).agg(F.sum("tokens").alias("tokens"), F.first(f"want_{d}").alias("weight")), (d,), rate)
+        values = values.select(F.col(d).alias("value"), (F.col("prob") * F.col("tokens") / rate).alias(f"give_{d}"))
+        state = state.join(values, F.col(d).eqNullSafe(F.col("value")), "left").drop("value")
+    state = written(state, "cells")
+    state = state.coalesce(1) if small else state
     done = 0
     while done < rounds:
         for _ in range(min(ROUNDS_A_PLAN, rounds - done)):
             for d in DIMENSIONS:
                 have = F.sum("weight").over(Window.partitionBy(d))
-                state = state.withColumn("weight", F.when(have > 0, F.col("weight") * F.col(f"want_{d}") / have).otherwise(0.0))
+                state = state.withColumn("weight", F.when(have > 0, F.least(F.col("weight") * F.col(f"give_{d}") / have, F.col("tokens") / rate)).otherwise(0.0))
         done += ROUNDS_A_PLAN
         state = written(state, "cells")
         state = state.coalesce(1) if small else state
-    ordered = Window.partitionBy().orderBy(F.desc("ratio"), *DIMENSIONS).rowsBetween(Window.unboundedPreceding, -1)
-    every = Window.partitionBy()
-    state = state.withColumn("ratio", F.col("weight") / F.col("tokens"))
-    state = state.withColumn("goal", rate * F.sum("tokens").over(every)).withColumn("mass", F.sum("weight").over(every))
-    state = state.withColumn("above_t", F.coalesce(F.sum("tokens").over(ordered), F.lit(0))).withColumn("above_w", F.coalesce(F.sum("weight").over(ordered), F.lit(0.0)))
-    state = state.withColumn("full", (F.col("goal") - F.col("above_t")) * F.col("ratio") > F.col("mass") - F.col("above_w"))
-    left_t = F.col("goal") - F.sum(F.when(F.col("full"), F.col("tokens")).otherwise(0)).over(every)
-    left_w = F.sum(F.when(F.col("full"), 0.0).otherwise(F.col("weight"))).over(every)
-    prob = F.when(F.col("full"), 1.0).when(left_w > 0, F.least(F.lit(1.0), F.greatest(F.lit(0.0), left_t / left_w * F.col("ratio")))).otherwise(0.0)
-    return state.select(*DIMENSIONS, "tokens", "weight", prob.alias("prob"))
+    state = ceiled(state, DIMENSIONS, rate)
+    return state.select(*DIMENSIONS, "tokens", "weight", "prob", *[F.col(f"want_{d}") for d in DIMENSIONS])
 
 
 def mix(docs: DataFrame, targets: Mapping[str, Mapping[str, float]] | None = None, rate: float = RATE, rounds: int = ROUNDS, topic: Column | None = None, tokens: Column | None = None, seed: str = SEED, text: str = "text", source: str = "source", lang: str = "lang", doc_id: str = "doc_id", columns: list[str] | None = None) -> DataFrame:
