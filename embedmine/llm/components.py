@@ -6,7 +6,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import spread_join, written
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -14,7 +14,8 @@ def components(edges: DataFrame) -> DataFrame:
 
     Rounds alternate: first every node hands its larger neighbours to its smallest
     one, then every node ties its smaller neighbours together. The number of
-    rounds grows with the logarithm of a component's size. Loops, repeated and
+    rounds grows with the logarithm of a component's size. The edges of a node with
+    very many neighbours are never gathered in one task. Loops, repeated and
     reversed edges are allowed; an empty table gives an empty one.
     """
     now = written(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
@@ -26,10 +27,10 @@ def components(edges: DataFrame) -> DataFrame:
         seen = tuple(mark)
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
-        large = both.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        large = spread_join(both, least, ["a"], ["b"]).where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         low = large.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
         floor = low.groupBy("a").agg(F.min("b").alias("m"))
-        tied = low.join(floor, "a").where("b <> m").select(F.greatest("b", "m").alias("a"), F.least("b", "m").alias("b"))
+        tied = spread_join(low, floor, ["a"], ["b"]).where("b <> m").select(F.greatest("b", "m").alias("a"), F.least("b", "m").alias("b"))
         now = written(tied.unionByName(floor.select("a", F.col("m").alias("b"))).distinct(), "edges")
     roots = now.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct()
     return now.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(roots)

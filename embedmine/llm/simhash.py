@@ -1,19 +1,22 @@
 """Near-duplicates by SimHash with a Gray-order hierarchical index.
 
 Fingerprints that differ in at most 4 of 64 bits agree on at least one of five
-blocks of bits. The five block patterns are the index's upper nodes: each
-distinct fingerprint goes under one node for each block, and two of them are
-compared only where they share a node. Below an upper node the fingerprints are
-sorted by Gray rank, so that neighbours share bits; every 16 of them form a
-node that keeps the bits they agree on, every 16 nodes the next, and so on. Two
-nodes are compared before their members: the differences in the bits that both
-have fixed are a lower bound, these plus the bits left free an upper one. Over
-4 at least, the pair of groups is left; 4 at most, all members are linked at
-once; else the children are taken.
-
-An upper node with more fingerprints than one task should hold is split again
-by five blocks of its free bits, as often as needed: this is exact, since
-within 4 differences one of those blocks agrees again.
+blocks of bits. A block with its bits is a masked pattern that many fingerprints
+share: the index's upper nodes. Each distinct fingerprint goes under the five
+patterns that it has. Below each pattern, whatever its size, the fingerprints
+are sorted by Gray rank, so that neighbours share bits; every FAN of them form a
+node that keeps the bits they agree on, every FAN nodes the next, up to the pattern.
+
+The search goes down from a pattern paired with itself. Differences are
+accumulated: a pair of nodes inherits those of its parents and adds the ones in
+the bits that only now are fixed in both. That is a lower bound for all their
+members, and with the bits still free an upper one. Over 4 at least, the pair
+of groups is left; 4 at most, all members are linked at once; else the pairs of
+children are taken.
+
+A pattern with more fingerprints than one task should hold is split again by
+five blocks of its free bits, as often as needed: this is exact, since within 4
+differences one of those blocks agrees again. Sizes are counted before rows move.
 """
 
 from __future__ import annotations
@@ -26,16 +29,19 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import by_value, written
+from .common import by_value, numbered, spread_join, without, written
 from .components import components
 
 by_value(__name__)
 
 #: Words in a shingle, hash seed, differing bits that still link.
 SHINGLE, SEED, RADIUS = 4, 42, 4
-#: Fingerprints below one upper node that a task takes at once; above, the node is split.
+#: Fingerprints below one pattern that a task takes at once; above, the pattern is split.
 CAPACITY = 16384
-FAN = 16
+#: Children of a node of the tree.
+FAN = 4
+#: Pairs of nodes compared at a time.
+PAIRS = 16384
 
 
 def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
@@ -92,54 +98,81 @@ def merge_labels(labels: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
             labels[:] = up
 
 
-def group_links(codes: np.ndarray, radius: int = RADIUS) -> tuple[np.ndarray, np.ndarray]:
-    """(code, code of its class) for the codes that have links among ``codes``, by the Gray-order tree."""
-    f = codes[np.argsort(gray_rank(codes), kind="stable")]
-    levels, lo, hi = [(f, ~np.zeros_like(f))], f, f
-    while len(lo) > 1:
-        starts = np.arange(0, len(lo), FAN)
-        lo, hi = np.bitwise_and.reduceat(lo, starts), np.bitwise_or.reduceat(hi, starts)
-        levels.append((lo, ~(lo ^ hi)))
-    labels = np.arange(len(f))
-
-    def whole(depth: int) -> tuple[np.ndarray, np.ndarray]:
-        """Least and largest label below each node."""
-        starts = np.arange(0, len(f), FAN**depth)
-        return np.minimum.reduceat(labels, starts), np.maximum.reduceat(labels, starts)
-
-    def descend(a: np.ndarray, b: np.ndarray, depth: int) -> None:
-        for i in range(0, len(a), 2048):
-            x, y = a[i : i + 2048], b[i : i + 2048]
-            if depth:
-                least, most = whole(depth)
-                joined = (least[x] == most[x]) & (least[y] == most[y]) & (least[x] == least[y])
-                x, y = x[~joined], y[~joined]
-            bits, mask = levels[depth]
+class Forest:
+    """The Gray-order trees of a chunk of fingerprints, one below each pattern.
+
+    ``levels[d]``: (bits, mask) of the nodes at depth d, the fingerprints themselves at 0.
+    ``first[d]``: where a node's children begin at depth d - 1; ``span[d]``: where its
+    fingerprints begin. Both have a closing entry.
+    """
+
+    def __init__(self, node: np.ndarray, fp: np.ndarray):
+        order = np.lexsort((gray_rank(fp), node))
+        self.codes, root = fp[order], node[order]
+        begins = np.flatnonzero(np.r_[True, root[1:] != root[:-1]]) if len(root) else np.zeros(0, np.int64)
+        low = high = self.codes
+        self.levels = [(low, ~np.zeros_like(low))]
+        self.first, self.span = [np.arange(len(low) + 1)], [np.arange(len(low) + 1)]
+        while len(low) > len(begins):
+            sizes = np.diff(np.r_[begins, len(low)])
+            first = np.flatnonzero((np.arange(len(low)) - np.repeat(begins, sizes)) % FAN == 0)
+            low, high = np.bitwise_and.reduceat(low, first), np.bitwise_or.reduceat(high, first)
+            begins = np.searchsorted(first, begins)
+            self.levels.append((low, ~(low ^ high)))
+            self.first.append(np.r_[first, self.first[-1].size - 1])
+            self.span.append(self.span[-1][self.first[-1]])
+
+    def members(self, depth: int, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(places of the fingerprints below the nodes, place of their node's first one)."""
+        begin, end = self.span[depth][nodes], self.span[depth][nodes + 1]
+        size = end - begin
+        return np.arange(size.sum()) + np.repeat(begin - np.cumsum(size) + size, size), np.repeat(begin, size)
+
+    def children(self, depth: int, x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(pair, child of x, child of y): each unordered pair of children once, a fingerprint not with itself."""
+        of, fan = self.first[depth], np.arange(FAN)
+        p, q = np.broadcast_arrays(of[x][:, None, None] + fan[:, None], of[y][:, None, None] + fan)
+        real = (p < of[x + 1][:, None, None]) & (q < of[y + 1][:, None, None]) & ((p < q) | ((p == q) & (depth > 1)) | (x != y)[:, None, None])
+        return np.broadcast_to(np.arange(len(x))[:, None, None], p.shape)[real], p[real], q[real]
+
+
+def forest_links(node: np.ndarray, fp: np.ndarray, radius: int = RADIUS) -> tuple[np.ndarray, np.ndarray]:
+    """(code, code of its class) for the codes that have links among those under their pattern ``node``."""
+    tree = Forest(node, fp)
+    labels = np.arange(len(tree.codes))
+
+    def descend(depth: int, a: np.ndarray, b: np.ndarray, differ: np.ndarray, known: np.ndarray) -> None:
+        """Pairs (a, b) of nodes with the differences found above them and the bits these are in."""
+        bits, mask = tree.levels[depth]
+        for i in range(0, len(a), PAIRS):
+            part = slice(i, i + PAIRS)
+            x, y, low, seen = a[part], b[part], differ[part], known[part]
+            if depth:  # members that are in one class already need no search
+                least, most = np.minimum.reduceat(labels, tree.span[depth][:-1]), np.maximum.reduceat(labels, tree.span[depth][:-1])
+                open_ = (least[x] != most[x]) | (least[y] != most[y]) | (least[x] != least[y])
+                x, y, low, seen = x[open_], y[open_], low[open_], seen[open_]
             fixed = mask[x] & mask[y]
-            low = np.bitwise_count((bits[x] ^ bits[y]) & fixed)
+            low = low + np.bitwise_count((bits[x] ^ bits[y]) & fixed & ~seen)
             near = low <= radius
-            all_ = near & (low + np.bitwise_count(~fixed) <= radius)
-            size = FAN**depth
-            for p, q in zip(x[all_], y[all_]) if depth else ():
-                members = np.r_[p * size : min((p + 1) * size, len(f)), q * size : min((q + 1) * size, len(f))]
-                merge_labels(labels, members[:1].repeat(len(members)), members)
+            sure = near & (low + np.bitwise_count(~fixed) <= radius)
             if not depth:
-                merge_labels(labels, x[all_], y[all_])
+                merge_labels(labels, x[sure], y[sure])
                 continue
-            x, y = x[near & ~all_], y[near & ~all_]
-            for j in range(0, len(x), 1024):
-                p, q = x[j : j + 1024, None, None] * FAN, y[j : j + 1024, None, None] * FAN
-                p, q = np.broadcast_arrays(p + np.arange(FAN)[:, None], q + np.arange(FAN)[None, :])
-                p, q = p.ravel(), q.ravel()
-                under = len(levels[depth - 1][0])
-                real = (p < under) & (q < under) & ((p < q) | ((p == q) & (depth > 1)))
-                descend(p[real], q[real], depth - 1)
-
-    top = len(levels) - 1
+            if sure.any():
+                heads = tree.span[depth][x[sure]]
+                for places, head in (tree.members(depth, x[sure]), tree.members(depth, y[sure])):
+                    merge_labels(labels, places, head)
+                merge_labels(labels, heads, tree.span[depth][y[sure]])
+            on = near & ~sure
+            pair, p, q = tree.children(depth, x[on], y[on])
+            descend(depth - 1, p, q, low[on][pair], fixed[on][pair])
+
+    top = len(tree.levels) - 1
     if top:
-        descend(np.zeros(1, np.int64), np.zeros(1, np.int64), top)
-    out = np.flatnonzero(labels != np.arange(len(f)))
-    return f[out], f[labels[out]]
+        roots = np.flatnonzero(np.diff(tree.span[top]) > 1)
+        descend(top, roots, roots, np.zeros(len(roots), np.uint8), np.zeros(len(roots), np.uint64))
+    out = np.flatnonzero(labels != np.arange(len(labels)))
+    return tree.codes[out], tree.codes[labels[out]]
 
 
 def free_blocks(used: int, parts: int = RADIUS + 1) -> list[int]:
@@ -152,83 +185,59 @@ def signed(mask: int) -> int:
     return mask - (1 << 64) if mask >> 63 else mask
 
 
-def search_nodes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows (node, used, fp) sorted by node to links (a, b); what lies under a node of more than
-    CAPACITY comes back as rows of smaller nodes (a, node, used)."""
-    kept: list[np.ndarray] = [np.zeros((3, 0), np.int64)]
-    splitting = None
-
-    def links(a, b):
-        none = pa.nulls(len(a), pa.int64())
-        return pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64)), none, none], names=["a", "b", "node", "used"])
-
-    def split(rows):
-        node, used, fp = rows
-        for t, mask in enumerate(free_blocks(int(used[0]) & (2**64 - 1))):
-            part = (fp.view(np.uint64) & np.uint64(mask)) * np.uint64(0x9E3779B97F4A7C15)
-            part ^= part >> np.uint64(29)
-            below = (node.view(np.uint64) ^ part) * np.uint64(0xBF58476D1CE4E5B9) + np.uint64(t + 1)
-            more = np.full(len(fp), signed((int(used[0]) & (2**64 - 1)) | mask), np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(fp), pa.nulls(len(fp), pa.int64()), pa.array(below.view(np.int64)), pa.array(more)], names=["a", "b", "node", "used"])
-
-    def search(rows):
-        node, fp = rows[0], np.ascontiguousarray(rows[2]).view(np.uint64)
-        cuts = np.flatnonzero(np.r_[True, node[1:] != node[:-1], True])
-        size = np.diff(cuts)
-        for s, n in zip(cuts[:-1][size > 48], size[size > 48]):
-            if n > CAPACITY:
-                yield from split(rows[:, s : s + n])
-            else:
-                a, b = group_links(fp[s : s + n])
-                if len(a):
-                    yield links(a, b)
-        small = np.repeat(size <= 48, size)
-        node, fp = node[small], fp[small]
-        for shift in range(1, 48):
-            same = node[shift:] == node[:-shift]
-            if not same.any():
-                break
-            near = np.flatnonzero(same & (np.bitwise_count(fp[shift:] ^ fp[:-shift]) <= RADIUS))
-            if len(near):
-                yield links(fp[near + shift], fp[near])
+def search_patterns(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (node, fp) sorted by node to links (a, b); a chunk holds whole patterns."""
+    kept: list[np.ndarray] = [np.zeros((2, 0), np.int64)]
+
+    def search(rows: np.ndarray) -> Iterator[pa.RecordBatch]:
+        a, b = forest_links(rows[0], np.ascontiguousarray(rows[1]).view(np.uint64))
+        if len(a):
+            yield pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], names=["a", "b"])
 
     for batch in batches:
-        rows = np.stack([c.to_numpy(zero_copy_only=False) for c in batch.columns]) if batch.num_rows else kept[0][:, :0]
-        if splitting is not None and rows.shape[1]:
-            head = int(np.argmax(rows[0] != splitting)) if (rows[0] != splitting).any() else rows.shape[1]
-            if head:
-                yield from split(rows[:, :head])
-            rows = rows[:, head:]
-            splitting = splitting if not rows.shape[1] else None
-        kept.append(rows)
+        if not batch.num_rows:
+            continue
+        kept.append(np.stack([c.to_numpy(zero_copy_only=False) for c in batch.columns]))
         if sum(k.shape[1] for k in kept) < 4 * CAPACITY:
             continue
         rows = np.concatenate(kept, axis=1)
-        cut = int(np.argmax(rows[0] == rows[0, -1]))
+        cut = int(np.argmax(rows[0] == rows[0, -1]))  # the last pattern may go on in the next batch
         yield from search(rows[:, :cut])
-        rest = rows[:, cut:]
-        if rest.shape[1] > CAPACITY:
-            yield from split(rest)
-            splitting, rest = int(rest[0, 0]), rest[:, :0]
-        kept = [rest]
-    rows = np.concatenate(kept, axis=1)
-    if rows.shape[1]:
-        yield from search(rows)
+        kept = [rows[:, cut:]]
+    yield from search(np.concatenate(kept, axis=1))
+
+
+def split_patterns(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (node, used, fp) to five rows each, under the patterns that have a block of their free bits more."""
+    for batch in batches:
+        node, used, fp = (c.to_numpy(zero_copy_only=False) for c in batch.columns)
+        for u in np.unique(used):
+            rows = used == u
+            codes, above = fp[rows], node[rows].view(np.uint64)
+            for t, mask in enumerate(free_blocks(int(u) & (2**64 - 1))):
+                part = (codes.view(np.uint64) & np.uint64(mask)) * np.uint64(0x9E3779B97F4A7C15)
+                part ^= part >> np.uint64(29)
+                below = (above ^ part) * np.uint64(0xBF58476D1CE4E5B9) + np.uint64(t + 1)
+                more = np.full(len(codes), signed((int(u) & (2**64 - 1)) | mask), np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(below.view(np.int64)), pa.array(more), pa.array(codes)], names=["node", "used", "fp"])
 
 
 def near_links(distinct: DataFrame) -> DataFrame:
     """Links (a, b) that span the classes of the distinct fingerprints in column fp."""
-    nodes = [F.struct(F.lit(t).cast("long").alias("t"), F.lit(signed(m)).cast("long").alias("used"), F.col("fp").bitwiseAND(F.lit(signed(m))).alias("part")) for t, m in enumerate(free_blocks(0))]
-    todo = distinct.select("fp", F.explode(F.array(*nodes)).alias("n")).select(F.xxhash64("n.t", "n.part").alias("node"), "n.used", "fp")
+    blocks = [F.struct(F.lit(t).cast("long").alias("t"), F.lit(signed(m)).cast("long").alias("used"), F.col("fp").bitwiseAND(F.lit(signed(m))).alias("part")) for t, m in enumerate(free_blocks(0))]
+    todo = distinct.select("fp", F.explode(F.array(*blocks)).alias("n")).select(F.xxhash64("n.t", "n.part").alias("node"), "n.used", "fp")
     found = None
     while True:
-        out = todo.repartition("node").sortWithinPartitions("node").mapInArrow(search_nodes, "a long, b long, node long, used long")
-        out = written(out, "near-links")
-        edges = out.where("b is not null").select("a", "b")
-        found = edges if found is None else found.unionByName(edges)
-        todo = out.where("b is null").select("node", "used", F.col("a").alias("fp"))
-        if todo.isEmpty():
+        full = todo.groupBy("node").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > CAPACITY)
+        full = written(full.select("node"), "full-patterns")
+        done = full.isEmpty()
+        light = todo if done else spread_join(todo, full, ["node"], ["fp"], "left_anti")
+        links = written(light.select("node", "fp").repartition("node").sortWithinPartitions("node").mapInArrow(search_patterns, "a long, b long"), "near-links")
+        found = links if found is None else found.unionByName(links)
+        if done:
             return found
+        heavy = spread_join(todo, full, ["node"], ["fp"], "left_semi").select("node", "used", "fp")
+        todo = written(heavy.mapInArrow(split_patterns, "node long, used long, fp long"), "split-patterns")
 
 
 def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", shingle: int = SHINGLE) -> DataFrame:
@@ -242,9 +251,9 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
     first = F.min(F.struct(F.col("doc_id").isNull().alias("z"), F.col("doc_id").alias("i"), F.col("tag").alias("g"))).alias("best")
     distinct = written(rows.groupBy("fp").agg(first), "distinct-fingerprints")
     roots = components(near_links(distinct))
-    grouped = distinct.join(roots.withColumnRenamed("node", "fp"), "fp")
+    grouped = written(distinct.join(roots.withColumnRenamed("node", "fp"), "fp"), "class-members")
     least = grouped.groupBy("root").agg(F.min("best").alias("class_best"))
-    classes = grouped.select("fp", "root").join(least, "root").select("fp", "class_best")
+    classes = spread_join(grouped.select("fp", "root"), least, ["root"], ["fp"]).select("fp", "class_best")
     verdict = distinct.join(classes, "fp", "left").select("fp", F.coalesce("class_best", "best").alias("best"))
     # A fingerprint of very many rows has one entry for each run, so that no task gathers its rows.
     entries = rows.select("run", "fp").distinct().join(verdict, "fp")
@@ -252,13 +261,11 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
 
 
 def drop_near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
-    """``docs`` with one document of each class, the one of smallest doc_id; columns unchanged.
-    Rows that repeat doc_id and text are one document: one of them stays."""
-    found = near_duplicates(docs, text, doc_id).where(F.col("doc_id").eqNullSafe(F.col("component_id")) & (F.col("tag") == F.col("component_tag")))
-    kept = written(found.groupBy("doc_id", "tag").agg(F.count(F.lit(1)).alias("__times")), "near-kept").select(F.col("doc_id").alias("__id"), F.col("tag").alias("__tag"), "__times")
-    marked = docs.withColumn("__mark", F.when(F.col(text).isNull(), F.lit(0)).otherwise(F.xxhash64(text)))
-    stay = marked.join(kept, marked[doc_id].eqNullSafe(F.col("__id")) & (F.col("__mark") == F.col("__tag"))).drop("__id", "__tag")
-    if kept.where("__times > 1").isEmpty():
-        return stay.select(docs.columns)
-    again = stay.where("__times > 1").dropDuplicates([doc_id, "__mark"])
-    return stay.where("__times = 1").unionByName(again).select(docs.columns)
+    """``docs`` with one document of each class, the one of smallest doc_id; columns unchanged,
+    whatever their names. Rows that repeat doc_id and text are one document: one of them stays."""
+    rows, of = numbered(docs)
+    marks = near_duplicates(rows, of[text], of[doc_id])
+    stays = F.col("doc_id").eqNullSafe(F.col("component_id")) & (F.col("tag") == F.col("component_tag"))
+    marks = marks.groupBy("doc_id", "tag").agg(F.max(stays).alias("stays"), F.count(F.lit(1)).alias("times"))
+    tag = F.when(F.col(of[text]).isNull(), F.lit(0)).otherwise(F.xxhash64(of[text]))
+    return without(rows, marks, F.col(of[doc_id]), tag).select(*[F.col(n).alias(c) for c, n in of.items()])
