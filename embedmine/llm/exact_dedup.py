@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import squeezed, text_or_empty, written
+from .common import numbered, squeezed, text_or_empty, without, written
 
 #: Runs that meet in one merge.
 FAN_IN = 16
@@ -78,17 +78,12 @@ def exact_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id"
 
 
 def drop_exact_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
-    """``docs`` with one row of each group of equal texts, columns unchanged.
+    """``docs`` with one row of each group of equal texts, columns unchanged, whatever their names.
 
     Rows that repeat both doc_id and text are one document given several times:
     any one of them stays.
     """
-    verdicts = exact_duplicates(docs, text, doc_id).groupBy("doc_id", "text_sha256").agg(F.max("kept").alias("kept"), F.count(F.lit(1)).alias("times"))
-    verdicts = written(verdicts.where("kept"), "exact-kept").select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha"), F.col("times").alias("__times"))
-    marked = docs.withColumn("__text_sha", F.sha2(squeezed(text_or_empty(text)), 256))
-    on = marked[doc_id].eqNullSafe(F.col("__id")) & (F.col("__text_sha") == F.col("__sha"))
-    kept = marked.join(verdicts, on).drop("__id", "__sha")
-    if verdicts.where("__times > 1").isEmpty():
-        return kept.select(docs.columns)
-    again = kept.where("__times > 1").dropDuplicates([doc_id, "__text_sha"])
-    return kept.where("__times = 1").unionByName(again).select(docs.columns)
+    rows, of = numbered(docs)
+    marks = exact_duplicates(rows, of[text], of[doc_id]).groupBy("doc_id", F.unhex("text_sha256").alias("tag")).agg(F.max("kept").alias("stays"), F.count(F.lit(1)).alias("times"))
+    digest = F.unhex(F.sha2(squeezed(text_or_empty(of[text])), 256))
+    return without(rows, marks, F.col(of[doc_id]), digest).select(*[F.col(n).alias(c) for c, n in of.items()])
