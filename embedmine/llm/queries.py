@@ -82,7 +82,7 @@ FROM d WINDOW w AS (PARTITION BY h ORDER BY chars DESC, doc_id NULLS LAST)
 
 
 def _op1() -> str:
-    """The raking rounds, written out one after another."""
+    """Targets within reach, then the raking rounds with their ceiling, written out one after another."""
     parts = [
         f"""k AS MATERIALIZED (SELECT doc_id, source, lang, coalesce(source, '{mixing.NONE}') AS s, coalesce(lang, '{mixing.NONE}') AS l,
           CASE WHEN contains(b, ' | ') THEN 'table' WHEN regexp_matches(b, '[%&*#$]{{3}}') THEN 'markup'
@@ -92,20 +92,26 @@ def _op1() -> str:
         FROM (SELECT doc_id, source, lang, coalesce(text, '') AS b FROM documents))""",
         "c AS MATERIALIZED (SELECT s, l, t, CAST(sum(tokens) AS BIGINT) AS tokens FROM k GROUP BY ALL)",
     ]
+    def filled(of: str, weight: str, key: str) -> str:
+        """of with prob: weight over tokens, scaled, 1 at most, tokens * prob adding up to the rate. In falling
+        order, a row is at 1 if it would exceed 1 with all rows before it at 1."""
+        sums = f"sum(tokens) OVER () AS tt, sum({weight}) OVER () AS tw, coalesce(sum(tokens) OVER b, 0) AS bt, coalesce(sum({weight}) OVER b, 0) AS bw"
+        rows = f"SELECT *, {weight} / tokens AS f, {sums} FROM {of} WINDOW b AS (ORDER BY {weight} / tokens DESC, {key} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)"
+        marked = f"SELECT *, ({mixing.RATE} * tt - bt) * f >= tw - bw AS one FROM ({rows})"
+        rest = f"({mixing.RATE} * tt - sum(CASE WHEN one THEN tokens ELSE 0 END) OVER ()) / sum(CASE WHEN one THEN 0 ELSE {weight} END) OVER ()"
+        return f"SELECT * EXCLUDE (f, tt, tw, bt, bw, one), CASE WHEN one THEN 1.0 ELSE least(1.0, f * {rest}) END AS prob FROM ({marked})"
+
     for d in "slt":
-        parts.append(f"m{d} AS MATERIALIZED (SELECT {d}, share / sum(share) OVER () * (SELECT sum(tokens) FROM c) AS want_{d} FROM (SELECT {d}, pow(CAST(sum(tokens) AS DOUBLE), {mixing.TEMPER}) AS share FROM c GROUP BY {d}))")
-    parts.append("r0 AS MATERIALIZED (SELECT s, l, t, tokens, CAST(tokens AS DOUBLE) AS w, want_s, want_l, want_t FROM c JOIN ms USING (s) JOIN ml USING (l) JOIN mt USING (t))")
+        parts.append(f"n{d} AS MATERIALIZED (SELECT {d}, tokens, share / sum(share) OVER () * sum(tokens) OVER () AS want FROM (SELECT {d}, CAST(sum(tokens) AS BIGINT) AS tokens, pow(CAST(sum(tokens) AS DOUBLE), {mixing.TEMPER}) AS share FROM c GROUP BY {d}))")
+        parts.append(f"m{d} AS MATERIALIZED (SELECT {d}, prob * tokens / {mixing.RATE} AS give_{d} FROM ({filled(f'n{d}', 'want', d)}))")
+    parts.append("r0 AS MATERIALIZED (SELECT s, l, t, tokens, CAST(tokens AS DOUBLE) AS w, give_s, give_l, give_t FROM c JOIN ms USING (s) JOIN ml USING (l) JOIN mt USING (t))")
     n = 0
     for _ in range(mixing.ROUNDS):
         for d in "slt":
-            parts.append(f"r{n + 1} AS MATERIALIZED (SELECT * REPLACE (w * want_{d} / sum(w) OVER (PARTITION BY {d}) AS w) FROM r{n})")
+            parts.append(f"r{n + 1} AS MATERIALIZED (SELECT * REPLACE (least(w * give_{d} / sum(w) OVER (PARTITION BY {d}), tokens / {mixing.RATE}) AS w) FROM r{n})")
             n += 1
-    parts += [
-        f"o AS MATERIALIZED (SELECT *, w / tokens AS f, {mixing.RATE} * sum(tokens) OVER () AS goal, sum(w) OVER () AS mass, coalesce(sum(tokens) OVER b, 0) AS bt, coalesce(sum(w) OVER b, 0) AS bw FROM r{n} WINDOW b AS (ORDER BY w / tokens DESC, s, l, t ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING))",
-        "q AS MATERIALIZED (SELECT *, (goal - bt) * f > mass - bw AS filled FROM o)",
-        "p AS MATERIALIZED (SELECT s, l, t, CASE WHEN filled THEN 1.0 ELSE least(1.0, greatest(0.0, (goal - sum(CASE WHEN filled THEN tokens ELSE 0 END) OVER ()) / sum(CASE WHEN filled THEN 0 ELSE w END) OVER () * f)) END AS prob FROM q)",
-    ]
-    return "WITH " + ",\n".join(parts) + "\nSELECT doc_id, source, lang, t AS topic, tokens, round(CAST(prob AS DOUBLE), 6) AS prob, u < prob AS chosen FROM k JOIN p USING (s, l, t)"
+    parts.append(f"p AS MATERIALIZED ({filled(f'r{n}', 'w', 's, l, t')})")
+    return "WITH " + ",\n".join(parts) + "\nSELECT doc_id, source, lang, t AS topic, k.tokens, round(CAST(prob AS DOUBLE), 6) AS prob, u < prob AS chosen FROM k JOIN p USING (s, l, t)"
 
 
 def _op5() -> str:
