@@ -15,17 +15,16 @@ from collections import Counter
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import by_value, id_remainder
 
 by_value(__name__)
 
-#: Documented bounds of the model. Documents learned from, by language (expected number; whole texts).
+#: Documented bound of the model: documents learned from, by language (expected number; whole texts).
+#: Every word and n-gram that stands in them is known.
 SAMPLE_PER_LANGUAGE = 1500
-#: Entries kept by language: words, and n-grams of each length.
-WORDS, GRAMS = 30_000, 8_000
 LONGEST = 5
 #: What stands for the probability of an entry that a language lacks.
 MISSING = -16.0
@@ -105,9 +104,8 @@ def train(docs: DataFrame, learn: Column, text: str = "text", lang: str = "lang"
     bound = F.create_map(*[x for k, n in sizes.items() for x in (F.lit(k), F.lit(min(1 << 30, int((1 << 30) * sample / n))))])
     chosen = rows.where(F.col("u") < bound[F.col("lang")]).select("lang", "text")
     counts = chosen.mapInArrow(count_tokens, "lang string, n int, token string, count long").groupBy("lang", "n", "token").agg(F.sum("count").alias("count"))
-    totals = Window.partitionBy("lang", "n")
-    by_size = Window.partitionBy("lang", "n").orderBy(F.desc("count"), "token")
-    kept = counts.withColumn("total", F.sum("count").over(totals)).withColumn("place", F.row_number().over(by_size)).where(F.col("place") <= F.when(F.col("n") == 0, WORDS).otherwise(GRAMS))
+    totals = counts.groupBy("lang", "n").agg(F.sum("count").alias("total"))
+    kept = counts.join(F.broadcast(totals), ["lang", "n"])  # a row for each language and length
     langs = sorted(sizes)
     at = {x: i for i, x in enumerate(langs)}
     tables: list[dict] = [{} for _ in range(LONGEST + 1)]
