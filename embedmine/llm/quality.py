@@ -8,7 +8,7 @@ stochastic gradient descent in numpy.
 With two classes the logit is linear in the average, so scoring needs one
 number a bucket (its vector times the difference of the two output rows). The
 n-grams of a whole batch of texts are hashed at once with rolling polynomial
-hashes over the batch's bytes.
+hashes over the batch's characters (code points, so that an umlaut is one).
 """
 
 from __future__ import annotations
@@ -28,11 +28,11 @@ by_value(__name__)
 SAMPLE = 3000
 BITS, DIM, EPOCHS, RATE = 16, 10, 8, 0.4
 GRAMS = (3, 4, 5)
-#: Bytes hashed at a time; longer texts go on in the next part, cut at white space.
-PART = 1 << 20
+#: Characters hashed at a time; longer texts go on in the next part, cut at white space.
+PART = 1 << 19
 PRIME = 0x9E3779B97F4A7C15 | 1
-#: Every byte of white space to a blank, A-Z to a-z.
-FOLD = bytes(32 if chr(i) in " \t\n\x0b\x0c\r" else i + 32 if 65 <= i <= 90 else i for i in range(256))
+#: ASCII white space to blanks.
+BLANKS = str.maketrans(dict.fromkeys("\t\n\x0b\x0c\r", " "))
 
 
 def powers(base: int, n: int) -> np.ndarray:
@@ -41,16 +41,16 @@ def powers(base: int, n: int) -> np.ndarray:
     return np.cumprod(out, dtype=np.uint64)
 
 
-def parts(texts: list[bytes]) -> Iterator[tuple[list[int], list[bytes]]]:
-    """Groups of (document, its text or a part of it) of about PART bytes."""
+def parts(texts: list[str]) -> Iterator[tuple[list[int], list[str]]]:
+    """Groups of (document, its lower-case text or a part of it) of about PART characters."""
     at, out, size = [], [], 0
     for i, text in enumerate(texts):
-        text = text.translate(FOLD)
+        text = text.lower().translate(BLANKS)
         begin = 0
         while begin < len(text) or not begin:
             end = len(text)
             if end - begin > PART:
-                end = text.rfind(b" ", begin + 1, begin + PART)
+                end = text.rfind(" ", begin + 1, begin + PART)
                 end = end if end > begin else begin + PART
             at.append(i)
             out.append(text[begin:end])
@@ -65,10 +65,10 @@ def parts(texts: list[bytes]) -> Iterator[tuple[list[int], list[bytes]]]:
         yield at, out
 
 
-def hashed(pieces: list[bytes]) -> tuple[np.ndarray, list[tuple[np.ndarray, np.ndarray]]]:
-    """Starts of the pieces in their joined bytes, and (positions, buckets) of words and n-grams."""
-    joined = b"".join(b" " + p + b" " for p in pieces)
-    b = np.frombuffer(joined, np.uint8)
+def hashed(pieces: list[str]) -> tuple[np.ndarray, list[tuple[np.ndarray, np.ndarray]]]:
+    """Starts of the pieces in their joined characters, and (positions, buckets) of words and n-grams."""
+    joined = "".join(f" {p} " for p in pieces)
+    b = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32)
     starts = np.cumsum([0] + [len(p) + 2 for p in pieces])[:-1]
     blank = b == 32
     shift = np.uint64(64 - BITS)
@@ -92,19 +92,19 @@ def hashed(pieces: list[bytes]) -> tuple[np.ndarray, list[tuple[np.ndarray, np.n
     return starts, out
 
 
-def bucket_counts(text: bytes) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct buckets of a text and their counts; the last bucket (2**BITS) stands in every text."""
-    total = np.zeros((1 << BITS) + 1, np.int64)
-    total[-1] = 1
+def bucket_counts(text: str) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct buckets of a text and their counts. Bucket 0 also stands once in every text."""
+    total = np.zeros(1 << BITS, np.int64)
+    total[0] = 1
     for _, pieces in parts([text]):
         for _, buckets in hashed(pieces)[1]:
-            total[:-1] += np.bincount(buckets.astype(np.int64), minlength=1 << BITS)
+            total += np.bincount(buckets.astype(np.int64), minlength=1 << BITS)
     at = np.flatnonzero(total)
-    return at.astype(np.int32), total[at].astype(np.float32)
+    return at.astype(np.uint16), total[at].astype(np.float32)
 
 
-def logits(texts: list[bytes], weight: np.ndarray) -> np.ndarray:
-    total, count = np.full(len(texts), float(weight[-1])), np.ones(len(texts))
+def logits(texts: list[str], weight: np.ndarray) -> np.ndarray:
+    total, count = np.full(len(texts), float(weight[0])), np.ones(len(texts))
     for at, pieces in parts(texts):
         starts, found = hashed(pieces)
         for where, buckets in found:
@@ -119,13 +119,14 @@ def logits(texts: list[bytes], weight: np.ndarray) -> np.ndarray:
 def fit(rows: list[tuple[np.ndarray, np.ndarray, int]], seed: int = 1) -> np.ndarray:
     """Stochastic gradient descent over (buckets, counts, label); a weight a bucket for class 1 against 0."""
     rng = np.random.default_rng(seed)
-    vectors = rng.uniform(-1 / DIM, 1 / DIM, ((1 << BITS) + 1, DIM)).astype(np.float32)
+    vectors = rng.uniform(-1 / DIM, 1 / DIM, (1 << BITS, DIM)).astype(np.float32)
     layer = np.zeros((2, DIM), np.float32)
     steps, done = EPOCHS * len(rows), 0
     for _ in range(EPOCHS):
         for i in rng.permutation(len(rows)):
             at, n, label = rows[i]
-            share = (n / n.sum()).astype(np.float32)
+            share = n.astype(np.float32)
+            share /= share.sum()
             hidden = share @ vectors[at]
             z = layer @ hidden
             p = np.exp(z - z.max())
@@ -150,24 +151,24 @@ def train(docs: DataFrame, labels: DataFrame, learn: Column, text: str = "text",
     marks = marks.withColumn("__u", F.pmod(F.xxhash64("__id", F.lit("quality")), F.lit(1 << 30)))
     n = marks.count()
     if not n:
-        return np.zeros((1 << BITS) + 1)
+        return np.zeros(1 << BITS)
     chosen = marks.where(F.col("__u") < int((1 << 30) * min(1.0, sample / n)))  # about ``sample`` rows: safe to broadcast
     rows = docs.select(F.col(doc_id).alias("__id"), F.col(text).alias("__text")).where(F.col("__text").isNotNull()).join(F.broadcast(chosen), "__id").select("__id", "__u", "__y", "__text")
 
     def counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in range(batch.num_rows):
-                at, n = bucket_counts(batch.column(3)[row].as_py().encode())
+                at, n = bucket_counts(batch.column(3)[row].as_py())
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(row, 1), batch.column(1).slice(row, 1), batch.column(2).slice(row, 1), pa.array([at.tobytes()], pa.binary()), pa.array([n.astype(np.float16 if n.max() < 2000 else np.float32).tobytes()], pa.binary())], names=["id", "u", "y", "at", "n"])
 
     kind = docs.schema[doc_id].dataType.simpleString()
     found = rows.mapInArrow(counts, f"id {kind}, u long, y int, at binary, n binary").toLocalIterator()
     data = []
     for r in found:
-        at = np.frombuffer(r["at"], np.int32)
-        data.append(((r["u"], r["id"], r["at"]), at, np.frombuffer(r["n"], np.float16 if len(r["n"]) == 2 * len(at) else np.float32).astype(np.float32), r["y"]))
+        at = np.frombuffer(r["at"], np.uint16)
+        data.append(((r["u"], r["id"], r["at"]), at, np.frombuffer(r["n"], np.float16 if len(r["n"]) == 2 * len(at) else np.float32), r["y"]))  # 4 bytes a bucket, as a rule
     data.sort(key=lambda x: x[0])
-    return fit([x[1:] for x in data]) if data else np.zeros((1 << BITS) + 1)
+    return fit([x[1:] for x in data]) if data else np.zeros(1 << BITS)
 
 
 def held_out(doc_id: str = "doc_id") -> Column:
@@ -183,7 +184,7 @@ def score(docs: DataFrame, weight: np.ndarray, text: str = "text", doc_id: str =
         for batch in batches:
             for begin in range(0, batch.num_rows, 512):
                 part = batch.slice(begin, 512)
-                z = logits([(t.as_py() or "").encode() for t in part.column(1)], shared.value)
+                z = logits([t.as_py() or "" for t in part.column(1)], shared.value)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(1 / (1 + np.exp(-np.clip(z, -60, 60))))], names=["doc_id", "score"])
 
     kind = docs.schema[doc_id].dataType.simpleString()
