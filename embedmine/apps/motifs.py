@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.canonical import words
@@ -35,22 +35,19 @@ def embeddings(g: PropertyGraph, size: int, labelled: bool = False, seeds: DataF
 
 
 def count_motifs(g: PropertyGraph, max_size: int = 4, sizes: str = "exact", labelled: bool = False, two_level: bool = True, waves: int = 1) -> DataFrame:
-    """canon, k, n_edges, degs, lbls, n of each motif of ``max_size`` vertices, or of 3 to ``max_size`` ("upto").
+    """canon, k, n_edges, degs, lbls, n of each motif of ``max_size`` vertices, or of 3 to ``max_size`` ("upto",
+    in one run that counts every level as it passes).
 
     The last level is grouped by quick code as it is generated and never
     stored. ``waves`` mines ranges of first vertices one after another, which
     bounds the state between steps.
     """
     if sizes == "upto":
-        out = None
-        for k in range(3, max_size + 1):
-            part = count_motifs(g, k, "exact", labelled, two_level, waves)
-            out = part if out is None else out.unionByName(part)
-        return out
+        return _upto(g, max_size, labelled, two_level, waves)
     parts = []
     for low, high in balance.seed_waves(g, waves):
         seeds = expand.seed_vertices(g, labelled)
-        seeds = seeds if waves < 2 else seeds.where((F.col("w0") >= low) & (F.col("w0") < high))
+        seeds = seeds if waves < 2 else seeds.where(in_wave(low, high))
         last = embeddings(g, max_size, labelled, seeds)
         if not two_level:
             parts.append(aggregate.count_one_level(last, max_size))
@@ -67,6 +64,29 @@ def count_motifs(g: PropertyGraph, max_size: int = 4, sizes: str = "exact", labe
     return aggregate.by_pattern(whole, max_size, {"n": F.sum("n")})
 
 
+def in_wave(low: int, high: int) -> Column:
+    return (F.col("w0") >= low) & ((F.col("w0") < high) | F.lit(high == balance.ALL[1]))
+
+
+def _upto(g: PropertyGraph, max_size: int, labelled: bool, two_level: bool, waves: int) -> DataFrame:
+    """Motifs of 3 to ``max_size`` vertices: every level is made once, grouped, and grown further."""
+    parts: DataFrame | None = None
+    for low, high in balance.seed_waves(g, waves):
+        seeds = expand.seed_vertices(g, labelled)
+        now = seeds if waves < 2 else seeds.where(in_wave(low, high))
+        for k in range(2, max_size + 1):
+            now = expand.grown_vertices(expand.vertex_candidates(now, g, k - 1).where("ok"), k - 1).drop("touch", "ok")
+            now = written(now, f"level-{k}") if 2 < k < max_size else now
+            if k < 3:
+                continue
+            part = aggregate.count_by_pattern(now, k) if two_level else aggregate.count_one_level(now, k)
+            part = written(part, "counts")
+            parts = part if parts is None else parts.unionByName(part)
+    if parts is None:
+        return aggregate.count_by_pattern(expand.seed_vertices(g, labelled).where(F.lit(False)), 1)
+    return parts.groupBy("canon", *aggregate.PATTERN).agg(F.sum("n").alias("n"))
+
+
 def count_by_graph(g: PropertyGraph, size: int, graph_of) -> DataFrame:
     """graph, n_edges, n for a collection of graphs in one: ``graph_of`` gives the graph of a vertex column.
     Components never mix, so the first word names the graph."""

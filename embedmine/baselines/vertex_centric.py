@@ -11,11 +11,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.canonical import bit, every, extended_code, is_canonical, some, words
+from ..functions.canonical import bit, every, extended_code, is_canonical, words
 from ..operators import aggregate, expand
 from ..operators.aggregate import PATTERN
 from ..plans.scratch import written
-from ..sources.graph import PropertyGraph
+from ..sources.graph import PropertyGraph, measured
 
 
 def messages(f: DataFrame, g: PropertyGraph, k: int) -> DataFrame:
@@ -72,34 +72,36 @@ def frequent_subgraphs(g: PropertyGraph, support: int, max_edges: int, depth_fir
     """(size, PATTERN, support of the frequent patterns; messages sent).
 
     Depth first, as owners hold embeddings of one pattern at a time: the
-    embeddings of each frequent seed pattern are grown by themselves to one
+    embeddings of each frequent pattern are sent and grown by themselves to one
     edge more, and the results of a size are then joined to decide its supports.
+    An embedding goes to its border vertices, those with an edge that it lacks.
     """
-    now = expand.seed_edges(g)
+    now = expand.seed_edges(g, "vertex")
+    degree = g.adjacency.groupBy("vid").agg(F.count(F.lit(1)).alias("d")).select(F.col("vid").alias("owner"), "d")
+    at = expand.incident(g).withColumnRenamed("vid", "owner")
     sent = 0
     out = None
     for k in range(1, max_edges + 1):
-        now = written(expand.with_code(now, k), f"owned-{k}")
-        frequent, quick = aggregate.support_at_least(now, k, support)
+        now = written(now, f"owned-{k}")
+        forms = aggregate.forms_of(now, None)
+        frequent = written(aggregate.supports(now, forms, support).where(F.col("support") >= support), "support")
         row = frequent.select(F.lit(k).alias("size"), "canon", *PATTERN, "support")
         out = row if out is None else out.unionByName(row)
-        kept = written(now.join(quick, "code").drop("code"), f"kept-{k}")
+        quick = forms.select("code", "labels", "canon").join(frequent.select("canon"), "canon", "left_semi")
+        kept = written(now.join(measured(quick), ["code", "labels"]), f"kept-{k}")
         if k == max_edges or kept.isEmpty():
             break
-        forms = [r["canon"] for r in frequent.select("canon").orderBy("canon").collect()] if depth_first else [None]
+        canons = [r["canon"] for r in frequent.select("canon").orderBy("canon").collect()] if depth_first else [None]
         grown = None
-        for canon in forms:
-            mine = kept if canon is None else kept.where(F.col("canon") == canon)
-            owned = mine.withColumn("owner", F.explode(expand.member_vertices(k)))
+        for canon in canons:
+            mine = (kept if canon is None else kept.where(F.col("canon") == canon)).drop("canon")
+            inside = sum((F.when((F.col(f"a{i}") == F.col("owner")) | (F.col(f"b{i}") == F.col("owner")), 1).otherwise(0) for i in range(k)), F.lit(0))
+            owned = mine.withColumn("owner", F.explode("vs")).join(g.shared(degree), "owner").where(F.col("d") > inside).drop("d")
             owned = written(owned.repartition("owner"), "messages")
             sent += owned.count()
-            near = g.adjacency.select(F.col("vid").alias("owner"), F.col("nbr").alias("__nbr"), F.col("eid").alias("__eid"), F.col("elabel").alias("__el"), F.col("vlabel").alias("__vl"), F.col("nlabel").alias("__nl"))
-            met = owned.join(near, "owner").where((F.col("__eid") > F.col("w0")) & every([F.col("__eid") != F.col(w) for w in words(k)]))
-            inner = some([F.col("__nbr") == F.col(f"{c}{i}") for i in range(k) for c in "ab"])
-            touches = [some([F.col(x) == F.col(f"{c}{i}") for x in ("owner", "__nbr") for c in "ab"]) for i in range(k)]
-            met = met.where((~inner | (F.col("owner") < F.col("__nbr"))) & is_canonical(k, touches, F.col("__eid")))
-            low = F.col("owner") < F.col("__nbr")
-            part = met.select(*expand.edge_columns(k), F.col("__eid").alias(f"w{k}"), F.least("owner", "__nbr").alias(f"a{k}"), F.greatest("owner", "__nbr").alias(f"b{k}"), F.when(low, F.col("__vl")).otherwise(F.col("__nl")).alias(f"p{k}"), F.when(low, F.col("__nl")).otherwise(F.col("__vl")).alias(f"q{k}"), F.col("__el").alias(f"e{k}"))
+            met = owned.join(at, "owner").where(F.col("eid") > F.col("w0"))
+            met = met.where((F.col("owner") == F.col("src")) | ~F.array_contains("vs", F.col("src")))
+            part = written(expand.grown_edges(met, k, "vertex").where("ok").drop("ok"), "grown")
             grown = part if grown is None else grown.unionByName(part)
         now = grown
     return out, sent

@@ -15,6 +15,10 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 
+#: Below all vertex and edge ids.
+LEAST = -(1 << 63)
+
+
 def words(k: int) -> list[str]:
     return [f"w{i}" for i in range(k)]
 
@@ -28,9 +32,9 @@ def some(conditions: list[Column]) -> Column:
 
 
 def later_words(k: int, at: int) -> Column:
-    """The largest word after position ``at``; -1 (below all ids) if there is none."""
+    """The largest word after position ``at``; the least long (ids exceed it) if there is none."""
     rest = [F.col(w) for w in words(k)[at + 1 :]]
-    return F.lit(-1).cast("long") if not rest else rest[0] if len(rest) == 1 else F.greatest(*rest)
+    return F.lit(LEAST).cast("long") if not rest else rest[0] if len(rest) == 1 else F.greatest(*rest)
 
 
 def is_canonical(k: int, touches: list[Column], ext: Column) -> Column:

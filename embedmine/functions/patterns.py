@@ -2,9 +2,9 @@
 
 Canonical forms are computed for distinct quick codes only. Vertices are
 coloured by label and degree, colours refined by those of the neighbours until
-nothing changes; ties are broken by trying every vertex of the first open
-colour. The smallest relabelled form is the canonical one, and the labellings
-that attain it give the automorphisms, whence the orbits.
+nothing changes; ties are broken by trying the vertices of the first open
+colour, of twins one only. The smallest relabelled form is the canonical one; the
+labellings that attain it, and the twins, give the orbits.
 """
 
 from __future__ import annotations
@@ -73,6 +73,12 @@ def compute_canonical(labels: tuple[int, ...], edges: tuple[tuple[int, int, int]
 
     best: list = [None, []]
 
+    def around(u: int, v: int) -> list[tuple[int, int]]:
+        return sorted((e, w) for e, w in near[u] if w != v)
+
+    # Twins have the same label and neighbours, so that exchanging them changes nothing: one of them is tried.
+    twins = [[u for u in range(v) if labels[u] == labels[v] and around(u, v) == around(v, u)] for v in range(n)]
+
     def search(colours: list[int]) -> None:
         cells: dict[int, list[int]] = {}
         for v, c in enumerate(colours):
@@ -85,13 +91,24 @@ def compute_canonical(labels: tuple[int, ...], edges: tuple[tuple[int, int, int]
             elif form == best[0]:
                 best[1].append(colours)
             return
-        for v in cells[open_]:
-            search(refine(ranks([(c, u != v) if c == open_ else (c, True) for u, c in enumerate(colours)])))
+        cell = cells[open_]
+        for v in cell:
+            if not any(u in cell for u in twins[v]):
+                search(refine(ranks([(c, u != v) if c == open_ else (c, True) for u, c in enumerate(colours)])))
 
     search(refine(ranks([(labels[v], len(near[v])) for v in range(n)])))
     form, found = best
-    orbit = [min(lab[v] for lab in found) for v in range(n)]
-    return form, tuple(found[0]), tuple(orbit)
+    # Two labellings of one form make a symmetry, and so do twins; together they give the orbits.
+    least = list(range(n))  # by place in the form
+    at = found[0]
+    pairs = [(at[v], lab[v]) for lab in found for v in range(n)] + [(at[u], at[v]) for v in range(n) for u in twins[v]]
+    while True:
+        before = list(least)
+        for x, y in pairs:
+            least[x] = least[y] = min(least[x], least[y])
+        if least == before:
+            break
+    return form, tuple(at), tuple(least[p] for p in at)
 
 
 def isomorphic(a: tuple, b: tuple) -> bool:
@@ -113,17 +130,21 @@ def described(labels: tuple, edges: tuple, fresh: bool = False) -> tuple:
     return spelled(form), len(labels), len(edges), "-".join(map(str, sorted(degree))), "|".join(map(str, sorted(labels))), list(positions), list(orbit)
 
 
-def canonicalize(codes: DataFrame, k: int | None = None) -> DataFrame:
-    """Distinct codes with their canonical forms: (code long[, labels]) of k vertices, or (code string)."""
+def canonicalize(codes: DataFrame, k: int | None = None, grouped: bool = False) -> DataFrame:
+    """Distinct quick codes with their canonical forms: (code long[, labels]) of k vertices, or in
+    edge mode (code, labels) as texts. ``grouped``: the codes are distinct already, all columns stay."""
     labelled = "labels" in codes.columns
-    columns = ["code", "labels"] if labelled else ["code"]
+    if not grouped:
+        codes = codes.select("code", *(["labels"] if labelled else [])).distinct()
+    columns = codes.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = batch.to_pylist()
-            forms = [described(*(edge_pattern(r["code"]) if k is None else vertex_pattern(r["code"], k, r.get("labels")))) for r in rows]
+            marks = batch.column(columns.index("labels")).to_pylist() if labelled else [None] * batch.num_rows
+            of = zip(batch.column(columns.index("code")).to_pylist(), marks)
+            forms = [described(*(edge_pattern(f"{c}|{m}") if k is None else vertex_pattern(c, k, m))) for c, m in of]
             kinds = [pa.string(), pa.int32(), pa.int32(), pa.string(), pa.string(), pa.list_(pa.int32()), pa.list_(pa.int32())]
             yield pa.RecordBatch.from_arrays([*batch.columns, *[pa.array([f[i] for f in forms], t) for i, t in enumerate(kinds)]], names=[*columns, "canon", "k", "n_edges", "degs", "lbls", "positions", "orbit"])
 
-    schema = ("code string, " if k is None else "code long, ") + "labels array<int>, " * labelled + CANON
-    return codes.select(*columns).distinct().mapInArrow(run, schema)
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in codes.schema.fields)
+    return codes.mapInArrow(run, f"{schema}, {CANON}")

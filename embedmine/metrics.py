@@ -14,8 +14,8 @@ from .plans.model import MiningResult
 
 
 def funnel(spark: SparkSession, result: MiningResult) -> DataFrame:
-    """step, candidates, canonical, processed, kept."""
-    rows = [(r["step"], r["candidates"], r["canonical"], r["processed"], r.get("kept", 0)) for r in result.funnel]
+    """step, candidates (of a run with ``refused``, else null), canonical, processed, kept."""
+    rows = [(r["step"], r.get("candidates"), r["canonical"], r["processed"], r.get("kept", 0)) for r in result.funnel]
     return spark.createDataFrame(rows, "step int, candidates long, canonical long, processed long, kept long")
 
 

@@ -8,23 +8,29 @@ from pyspark.sql import functions as F
 
 from ..functions import patterns
 from ..plans.scratch import written
-from .expand import member_vertices, with_code
+from ..sources.graph import measured
 
 PATTERN = ["k", "n_edges", "degs", "lbls"]
 
 
+def code_keys(f: DataFrame) -> list[str]:
+    return ["code", "labels"] if "labels" in f.columns else ["code"]
+
+
 def by_quick(f: DataFrame, aggregates: dict[str, Column]) -> DataFrame:
     """First level: values by quick code; isomorphism is not touched."""
-    keys = ["code", "labels"] if "labels" in f.columns else ["code"]
-    return f.groupBy(*keys).agg(*[v.alias(n) for n, v in aggregates.items()])
+    return f.groupBy(*code_keys(f)).agg(*[v.alias(n) for n, v in aggregates.items()])
 
 
 def by_pattern(quick: DataFrame, k: int | None, merge: dict[str, Column]) -> DataFrame:
-    """Second level: quick values joined to canonical forms and merged: canon, PATTERN columns, values."""
-    keys = ["code", "labels"] if "labels" in quick.columns else ["code"]
-    quick = written(quick, "quick")
-    forms = patterns.canonicalize(quick, k)
-    return quick.join(forms, keys).groupBy("canon", *PATTERN).agg(*[v.alias(n) for n, v in merge.items()])
+    """Second level: quick values (one row a code) with their canonical forms, merged: canon, PATTERN columns, values."""
+    return patterns.canonicalize(quick, k, grouped=True).groupBy("canon", *PATTERN).agg(*[v.alias(n) for n, v in merge.items()])
+
+
+def forms_of(f: DataFrame, k: int | None, values: dict[str, Column] | None = None) -> DataFrame:
+    """The quick codes of a level, one row each: n embeddings, further first-level values, canonical form."""
+    quick = by_quick(f, {"n": F.count(F.lit(1)), **(values or {})})
+    return written(patterns.canonicalize(quick, k, grouped=True), "forms")
 
 
 def count_by_pattern(f: DataFrame, k: int | None) -> DataFrame:
@@ -45,41 +51,36 @@ def count_one_level(f: DataFrame, k: int) -> DataFrame:
     return forms.groupBy("canon", *PATTERN).agg(F.count(F.lit(1)).alias("n"))
 
 
-def domains(f: DataFrame, k: int, labels: str = "vertex") -> DataFrame:
-    """Distinct (code, position, vid) of edge-mode embeddings: the first level of the domains' union."""
-    return with_code(f, k, labels).select("code", F.posexplode(member_vertices(k)).alias("pos", "vid")).distinct()
-
-
-def domain_sizes(quick_domains: DataFrame, forms: DataFrame) -> DataFrame:
-    """canon, orbit, size. An embedding feeds all positions that its pattern's symmetries exchange,
-    so domains belong to orbits; vertices are counted once in each."""
-    of = forms.select("code", "canon", "k", "n_edges", "degs", "lbls", F.posexplode("orbit").alias("pos", "orb"))
-    images = quick_domains.join(of, ["code", "pos"]).select("canon", *PATTERN, "orb", "vid").distinct()
-    return images.groupBy("canon", *PATTERN, "orb").agg(F.count(F.lit(1)).alias("size"))
-
-
-def support(quick_domains: DataFrame, forms: DataFrame) -> DataFrame:
-    """canon, PATTERN, support: the smallest domain of a pattern's vertices."""
-    return domain_sizes(quick_domains, forms).groupBy("canon", *PATTERN).agg(F.min("size").alias("support"))
-
-
-def support_at_least(f: DataFrame, k: int, threshold: int, labels: str = "vertex") -> tuple[DataFrame, DataFrame]:
-    """(patterns with support, frequent quick codes). Patterns whose embeddings, times the
-    vertices of an orbit, cannot reach the threshold are left out before the distinct. ``f`` may bring its codes."""
-    coded = f if "code" in f.columns else with_code(f, k, labels)
-    counts = written(coded.groupBy("code").agg(F.count(F.lit(1)).alias("n")), "quick")
-    forms = written(patterns.canonicalize(counts), "forms")
-    hopeful = counts.join(forms, "code").groupBy("canon", "k").agg(F.sum("n").alias("n")).where(F.col("n") * F.col("k") >= threshold).select("canon")
-    forms = forms.join(hopeful, "canon", "left_semi")
-    images = coded.join(forms.select("code"), "code", "left_semi").select("code", F.posexplode(member_vertices(k)).alias("pos", "vid")).distinct()
-    frequent = written(support(images, forms).where(F.col("support") >= threshold), "support")
-    return frequent, forms.join(frequent.select("canon"), "canon", "left_semi").select("code", "canon")
+def supports(f: DataFrame, forms: DataFrame, least: int | None = None, name: str = "support") -> DataFrame:
+    """canon, PATTERN, and the smallest domain of a pattern's vertices, over embeddings with their visited vertices ``vs``.
+
+    An embedding feeds all positions that its pattern's symmetries exchange, so
+    domains belong to orbits; vertices are counted once in each. With ``least``
+    a pattern whose embeddings, times the vertices of an orbit, cannot reach it is left out before the distinct.
+    """
+    keys = code_keys(f)
+    if least is not None:
+        hopeful = forms.groupBy("canon", "k").agg(F.sum("n").alias("n")).where(F.col("n") * F.col("k") >= least).select("canon")
+        forms = forms.join(hopeful, "canon", "left_semi")
+    of = measured(forms.select(*keys, "canon", "orbit"))
+    images = f.select(*keys, "vs").join(of, keys).select("canon", F.explode(F.arrays_zip("orbit", "vs")).alias("i")).select("canon", "i.orbit", "i.vs").distinct()
+    sizes = images.groupBy("canon", "orbit").agg(F.count(F.lit(1)).alias("size")).groupBy("canon").agg(F.min("size").alias(name))
+    return sizes.join(forms.select("canon", *PATTERN).distinct(), "canon").select("canon", *PATTERN, name)
+
+
+def approximate_support(f: DataFrame, k: int, error: float = 0.02) -> DataFrame:
+    """Support from distinct-count sketches: a cheap pre-test."""
+    forms = forms_of(f, None)
+    of = measured(forms.select("code", "labels", "canon", *PATTERN, "orbit"))
+    images = f.select("code", "labels", "vs").join(of, ["code", "labels"]).select("canon", *PATTERN, F.explode(F.arrays_zip("orbit", "vs")).alias("i"))
+    sizes = images.groupBy("canon", *PATTERN, F.col("i.orbit").alias("orb")).agg(F.approx_count_distinct("i.vs", error).alias("size"))
+    return sizes.groupBy("canon", *PATTERN).agg(F.min("size").alias("support"))
 
 
-def approximate_support(f: DataFrame, k: int, labels: str = "vertex", error: float = 0.02) -> DataFrame:
-    """Support from distinct-count sketches: a cheap pre-test; confirm exactly near the threshold."""
-    coded = with_code(f, k, labels).select("code", F.posexplode(member_vertices(k)).alias("pos", "vid"))
-    forms = patterns.canonicalize(coded.select("code").distinct())
-    of = forms.select("code", "canon", *PATTERN, F.posexplode("orbit").alias("pos", "orb"))
-    sizes = coded.join(of, ["code", "pos"]).groupBy("canon", *PATTERN, "orb").agg(F.approx_count_distinct("vid", error).alias("size"))
-    return sizes.groupBy("canon", *PATTERN).agg(F.min("size").alias("support"))
+def support_near(f: DataFrame, k: int, threshold: int, error: float = 0.02) -> DataFrame:
+    """canon, PATTERN, support of the patterns that reach ``threshold``: sketches decide where they are clear
+    (five errors off), and the rest is counted exactly. ``support`` is exact for all that are returned."""
+    rough = written(approximate_support(f, k, error), "sketched")
+    low = rough.where(F.col("support") >= threshold * (1 - 5 * error)).select("canon")
+    forms = forms_of(f, None).join(low, "canon", "left_semi")
+    return supports(f, written(forms, "forms"), threshold).where(F.col("support") >= threshold)

@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.canonical import words
 from ..plans.scratch import written
-from ..sources.graph import PropertyGraph, dense_ids
+from ..sources.graph import PropertyGraph, dense_ids, running_sum
 
 COST = "decimal(38,0)"
+#: Bins of vertices between which waves are cut; bounds of all ids.
+BINS, ALL = 2000, (-(1 << 63), (1 << 63) - 1)
 
 
 def path_costs(store: DataFrame, k: int) -> DataFrame:
@@ -29,16 +31,16 @@ def partition_paths(store: DataFrame, k: int, parts: int) -> DataFrame:
 
     Each pattern's store is divided apart. Entries of the first level lie in
     sequence; one that a bound cuts is replaced by its successors, level by
-    level: at most parts - 1 entries a level and pattern go on.
+    level: at most parts - 1 entries a level and pattern go on. Sums over a level run
+    range by range, so that no task sees all entries of a pattern.
     """
     costs = written(path_costs(store, k), "costs")
     total = costs.where("level = 0").groupBy("canon").agg(F.sum("cost").cast(COST).alias("total"))
-    order = Window.partitionBy("canon", "prefix").orderBy("node").rowsBetween(Window.unboundedPreceding, -1)
     now = costs.where("level = 0").join(total, "canon").select("canon", "total", F.array().cast("array<bigint>").alias("prefix"), F.lit(0).cast(COST).alias("base"), "node", "cost")
     out = None
     for level in range(k):
-        lo = (F.col("base") + F.coalesce(F.sum("cost").over(order), F.lit(0))).cast(COST)
-        now = now.withColumn("lo", lo).withColumn("hi", (F.col("lo") + F.col("cost")).cast(COST))
+        now = running_sum(now, ["canon", "prefix"], ["node"], "cost", "below", COST)
+        now = now.withColumn("lo", (F.col("base") + F.col("below")).cast(COST)).withColumn("hi", (F.col("lo") + F.col("cost")).cast(COST))
         now = now.withColumn("part", F.expr(f"cast((lo * {parts}) div total as int)")).withColumn("last", F.expr(f"cast(((hi - 1) * {parts}) div total as int)"))
         now = written(now.withColumn("prefix", F.concat("prefix", F.array("node"))), "intervals")
         whole = now.where("part = last").select("canon", "prefix", "lo", "hi", "part")
@@ -63,13 +65,22 @@ def balance(parts: DataFrame, load: str) -> DataFrame:
 
 
 def seed_waves(g: PropertyGraph, waves: int) -> list[tuple[int, int]]:
-    """Ranges [low, high) of first words of near-equal estimated work (squares of degrees). Since an
-    embedding starts at its smallest word, ranges can be mined to the end one after another."""
+    """Ranges [low, high) of first words of near-equal estimated work (squares of degrees), cut between bins of
+    about equally many vertices. Since an embedding starts at its smallest word, ranges can be mined to the
+    end one after another."""
     if waves < 2:
-        return [(-(1 << 62), 1 << 62)]
-    d = g.adjacency.groupBy("vid").agg((F.count(F.lit(1)) * F.count(F.lit(1))).alias("work"))
-    cuts = d.agg(F.percentile_approx("vid", [i / waves for i in range(1, waves)], 10_000, ).alias("c")).first()["c"] or []
-    edges = [-(1 << 62), *sorted(set(cuts)), 1 << 62]
+        return [ALL]
+    d = written(g.adjacency.groupBy("vid").agg((F.count(F.lit(1)) * F.count(F.lit(1))).alias("work")), "work")
+    bounds = sorted(set(d.agg(F.percentile_approx("vid", [i / BINS for i in range(BINS + 1)], 10 * BINS).alias("c")).first()["c"] or []))
+    bin_ = F.when(F.col("vid") >= F.lit(bounds[-1]), F.lit(len(bounds) - 1)).otherwise(F.size(F.filter(F.lit(bounds), lambda x: x <= F.col("vid"))) - 1) if bounds else F.lit(0)
+    sums = {r["b"]: r["w"] for r in d.groupBy(bin_.alias("b")).agg(F.sum("work").alias("w")).collect()}  # BINS + 1 rows at most
+    total, done, cuts = sum(sums.values()), 0, []
+    for b in sorted(sums):
+        # A range ends before the bin that would carry it further past its share than it now falls short.
+        if len(cuts) < waves - 1 and cuts[-1:] != [bounds[b]] and done and abs(done - total * (len(cuts) + 1) / waves) <= abs(done + sums[b] - total * (len(cuts) + 1) / waves):
+            cuts.append(bounds[b])
+        done += sums[b]
+    edges = [ALL[0], *cuts, ALL[1]]
     return list(zip(edges[:-1], edges[1:]))
 
 

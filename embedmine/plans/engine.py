@@ -5,24 +5,26 @@ from __future__ import annotations
 
 import time
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
-from ..functions import patterns
 from ..functions.canonical import words
 from ..operators import aggregate, expand, layered
-from ..sources.graph import PropertyGraph
-from .model import PATTERN, EmbeddingView, Emit, MiningApp, MiningResult
+from ..sources.graph import PropertyGraph, measured
+from .model import PATTERN, Domains, EmbeddingView, Emit, MiningApp, MiningResult
 from .scratch import written
 
 
-def explore(g: PropertyGraph, app: MiningApp, store: str = "list", max_size: int | None = None, two_level: bool = True, keep_levels: bool = True) -> MiningResult:
+def explore(g: PropertyGraph, app: MiningApp, store: str = "list", max_size: int | None = None, two_level: bool = True, keep_levels: bool = True, refused: bool = False, sink: str | None = None, seeds: DataFrame | None = None) -> MiningResult:
     """Runs ``app`` on ``g`` until nothing is left to expand or ``max_size`` is reached.
 
     store: "list" keeps embeddings as rows between steps, "paths" as the layered
-    path store (vertex mode), "auto" takes whichever is estimated smaller.
-    Embeddings stopped by the termination filter still get their aggregation
-    filter and output, so that a maximum size loses no level.
+    path store, "auto" takes whichever is estimated smaller. Embeddings stopped
+    by the termination filter still get their aggregation filter and output, so
+    that a maximum size loses no level. keep_levels: without it a last level that only
+    feeds aggregates is never stored. refused: generate candidates that are not canonical too, to
+    count them. sink: a folder that each step's outputs are appended to. seeds: embeddings of size 1 to
+    start from instead of all.
     """
     limit = app.max_size if max_size is None else max_size
     result = MiningResult()
@@ -32,41 +34,41 @@ def explore(g: PropertyGraph, app: MiningApp, store: str = "list", max_size: int
     while limit is None or size < limit:
         began = time.time()
         size += 1
-        made = _candidates(g, app, frontier, size)
-        view = EmbeddingView(size, app.mode, tuple(made.columns))
-        made = written(made.withColumn("__phi", F.coalesce(app.filter(view), F.lit(False))), f"candidates-{size}")
-        counts = made.agg(F.count(F.lit(1)), F.count_if("ok"), F.count_if(F.col("ok") & F.col("__phi"))).first()
-        f = made.where("ok and __phi").drop("ok", "__phi")
-        row = {"step": size, "candidates": counts[0], "canonical": counts[1], "processed": counts[2]}
+        view = EmbeddingView(size, app.mode, ())
+        seen = Observation()
+        made = _observed(_candidates(g, app, frontier, size, refused, seeds), app, view, seen, refused)
+        stored = keep_levels or size != limit or bool(app.output or app.aggregation_filter or app.aggregation_output or app.maps) or len(app.map_outputs) != 1
+        f = written(made, f"level-{size}") if stored else made
+        row: dict = {"step": size}
         result.funnel.append(row)
-        if not counts[2]:
-            break
-        if app.output:
-            result.outputs[size] = f.select(*app.output(view))
+        if stored:
+            row |= seen.get
+            row["seconds_grow"] = time.time() - began
+            if not row["processed"]:
+                break
+        forms = _forms(f, view, app, two_level)
         for e in app.map_outputs:
-            pieces[e.name].append(_reduced(f, view, e, two_level).withColumn("step", F.lit(size)))
+            pieces[e.name].append(written(_reduced(f, view, e, two_level, forms), f"output-{size}").withColumn("step", F.lit(size)))
+        if not stored:
+            row |= seen.get
         for e in app.maps:
-            result.aggregates[size, e.name] = written(_reduced(f, view, e, two_level), f"aggregate-{size}")
-        closing = f
-        if app.aggregation_filter or app.aggregation_output:
-            closing = _with_aggregates(f, view, app, result, size)
-            read = lambda name: F.col(f"__agg_{name}")
-            if app.aggregation_filter:
-                closing = closing.where(app.aggregation_filter(view, read))
-            if app.aggregation_output:
-                result.late_outputs[size] = closing.select(*app.aggregation_output(view, read))
-            closing = closing.select(f.columns)
-        level = written(closing, f"level-{size}")
-        row["kept"] = level.count()
+            result.aggregates[size, e.name] = written(_reduced(f, view, e, two_level, forms), f"aggregate-{size}")
+        if app.output:
+            result.outputs[size] = _sunk(f.select(*app.output(view)), sink, size)
+        level = _closed(f, view, app, result, forms, sink)
+        row["kept"] = level.count() if level is not f else row["processed"]
+        row["seconds_aggregate"] = time.time() - began - row.get("seconds_grow", 0)
         if keep_levels:
             result.levels[size] = level
         if app.termination:
             level = level.where(~app.termination(view))
+        row["messages"] = row["kept"]
+        if store != "list" and size >= 2 and (limit is None or size < limit) and not level.isEmpty():
+            alpha = (lambda df, k: _closed(df, EmbeddingView(k, app.mode, ()), app, result, None, None)) if app.aggregation_filter else None
+            level, row["messages"] = layered.stored_and_decoded(level, g, size, app, store, alpha)
         row["seconds"] = time.time() - began
-        if store != "list" and app.mode == "vertex" and not app.labelled and size >= 2 and (limit is None or size < limit):
-            level = layered.stored_and_decoded(level, g, size, app, store)
         frontier = level.drop("touch")
-        if frontier.isEmpty():
+        if size == limit or frontier.isEmpty():
             break
     for e in app.map_outputs:
         if pieces[e.name]:
@@ -74,46 +76,87 @@ def explore(g: PropertyGraph, app: MiningApp, store: str = "list", max_size: int
     return result
 
 
-def _candidates(g: PropertyGraph, app: MiningApp, frontier: DataFrame | None, size: int) -> DataFrame:
+def _candidates(g: PropertyGraph, app: MiningApp, frontier: DataFrame | None, size: int, refused: bool, seeds: DataFrame | None) -> DataFrame:
     if frontier is None:
-        seeds = expand.seed_vertices(g, app.labelled).withColumn("touch", F.lit(0).cast("long")) if app.mode == "vertex" else expand.seed_edges(g)
-        return seeds.withColumn("ok", F.lit(True))
-    if app.mode == "edge":
-        return expand.edge_candidates(frontier, g, size - 1)
-    return expand.grown_vertices(expand.vertex_candidates(frontier, g, size - 1), size - 1)
-
-
-def _coded(f: DataFrame, view: EmbeddingView) -> DataFrame:
-    return f if view.mode == "vertex" else expand.with_code(f, view.size, "both")
-
-
-def _reduced(f: DataFrame, view: EmbeddingView, e: Emit, two_level: bool) -> DataFrame:
-    """key columns and the value of one emission at the end of a step."""
+        if app.mode == "vertex":
+            made = (expand.seed_vertices(g, app.labelled) if seeds is None else seeds).withColumn("touch", F.lit(0).cast("long"))
+        else:
+            made = expand.seed_edges(g, app.labels) if seeds is None else seeds
+        made = made.withColumn("ok", F.lit(True))
+    elif app.mode == "edge":
+        made = expand.edge_candidates(frontier, g, size - 1, app.labels)
+    else:
+        made = expand.grown_vertices(expand.vertex_candidates(frontier, g, size - 1, refused), size - 1)
+    if app.needs is not None:
+        made = made.join(measured(app.needs.withColumnRenamed("word", f"w{size - 1}")), f"w{size - 1}", "left")
+    return made
+
+
+def _observed(made: DataFrame, app: MiningApp, view: EmbeddingView, seen: Observation, refused: bool) -> DataFrame:
+    """The processed embeddings; what fell away is counted as the plan runs, not stored."""
+    phi = F.coalesce(app.filter(view), F.lit(False))
+    extra = [c for c in (app.needs.columns if app.needs is not None else []) if c != "word"]
+    if refused:
+        made = made.withColumn("__phi", phi).observe(seen, F.count(F.lit(1)).alias("candidates"), F.count_if("ok").alias("canonical"), F.count_if(F.col("ok") & F.col("__phi")).alias("processed"))
+        return made.where("ok and __phi").drop("ok", "__phi", *extra)
+    made = made.where("ok").withColumn("__phi", phi).observe(seen, F.count(F.lit(1)).alias("canonical"), F.count_if("__phi").alias("processed"))
+    return made.where("__phi").drop("ok", "__phi", *extra)
+
+
+def _visited(f: DataFrame, view: EmbeddingView) -> DataFrame:
+    return f if view.mode == "edge" else f.withColumn("vs", view.visited)
+
+
+def _forms(f: DataFrame, view: EmbeddingView, app: MiningApp, two_level: bool) -> DataFrame | None:
+    """Quick codes with canonical forms, counts, and the first-level value of every emission by pattern; once a level."""
+    by_pattern = [e for e in (*app.maps, *app.map_outputs) if e.key == PATTERN]
+    if not by_pattern or (not two_level and view.mode == "vertex"):
+        return None
+    values = {f"__{e.name}": e.reduce(e.value(view)) for e in by_pattern if isinstance(e, Emit)}
+    return aggregate.forms_of(f, view.size if view.mode == "vertex" else None, values)
+
+
+def _reduced(f: DataFrame, view: EmbeddingView, e: Emit | Domains, two_level: bool, forms: DataFrame | None) -> DataFrame:
+    """Key columns and the value of one emission at the end of a step."""
+    if isinstance(e, Domains):
+        forms = aggregate.forms_of(f, view.size if view.mode == "vertex" else None) if forms is None else forms
+        return aggregate.supports(_visited(f, view), forms, e.least, e.name)
     if e.key == PATTERN:
-        k = view.size if view.mode == "vertex" else None
-        coded = _coded(f, view)
         if not two_level and view.mode == "vertex" and e.reduce is F.sum:
-            return aggregate.count_one_level(coded, k).withColumnRenamed("n", e.name)
-        quick = aggregate.by_quick(coded, {e.name: e.reduce(e.value(view))})
-        return aggregate.by_pattern(quick, k, {e.name: e.merge(F.col(e.name))})
+            return aggregate.count_one_level(f, view.size).withColumnRenamed("n", e.name)
+        return forms.groupBy("canon", *aggregate.PATTERN).agg(e.merge(F.col(f"__{e.name}")).alias(e.name))
     return f.groupBy(e.key(view).alias("key")).agg(e.reduce(e.value(view)).alias(e.name))
 
 
-def _with_aggregates(f: DataFrame, view: EmbeddingView, app: MiningApp, result: MiningResult, size: int) -> DataFrame:
-    """The embeddings with the aggregates of their own step and key."""
-    out = f
+def _closed(f: DataFrame, view: EmbeddingView, app: MiningApp, result: MiningResult, forms: DataFrame | None, sink: str | None) -> DataFrame:
+    """The embeddings that the aggregation filter leaves, and its output, given the aggregates of their step. Embeddings
+    of a key without an aggregate (a domain known to be too small) are left out."""
+    if not (app.aggregation_filter or app.aggregation_output):
+        return f
+    met, read = f, lambda name: F.col(f"__agg_{name}")
+    keys = aggregate.code_keys(f)
     for e in app.maps:
-        table = result.aggregates[size, e.name]
+        table = result.aggregates[view.size, e.name]
         if e.key == PATTERN:
-            coded = _coded(out, view)
-            keys = ["code", "labels"] if "labels" in coded.columns else ["code"]
-            forms = patterns.canonicalize(coded, size if view.mode == "vertex" else None)
-            joined = forms.join(table.select("canon", F.col(e.name).alias(f"__agg_{e.name}")), "canon").select(*keys, f"__agg_{e.name}")
-            out = coded.join(joined, keys)
-            out = out if view.mode == "vertex" else out.drop("code")
+            if forms is None:
+                forms = aggregate.forms_of(f, view.size if view.mode == "vertex" else None)
+            value = forms.select(*keys, "canon").join(table.select("canon", F.col(e.name).alias(f"__agg_{e.name}")), "canon").select(*keys, f"__agg_{e.name}")
+            met = met.join(measured(written(value, "read")), keys)
         else:
-            out = out.withColumn("__key", e.key(view)).join(table.select(F.col("key").alias("__key"), F.col(e.name).alias(f"__agg_{e.name}")), "__key").drop("__key")
-    return out
+            met = met.withColumn("__key", e.key(view)).join(table.select(F.col("key").alias("__key"), F.col(e.name).alias(f"__agg_{e.name}")), "__key").drop("__key")
+    if app.aggregation_filter:
+        met = met.where(app.aggregation_filter(view, read))
+    if app.aggregation_output and view.size not in result.late_outputs:
+        result.late_outputs[view.size] = _sunk(met.select(*app.aggregation_output(view, read)), sink, view.size)
+    return written(met.select(f.columns), f"kept-{view.size}") if app.aggregation_filter else f
+
+
+def _sunk(values: DataFrame, sink: str | None, size: int) -> DataFrame:
+    """A step's output; appended to the sink by step, if there is one, and then read from there."""
+    if sink is None:
+        return values
+    values.write.mode("append").parquet(f"{sink}/step={size}")
+    return values.sparkSession.read.schema(values.schema).parquet(f"{sink}/step={size}")
 
 
 def _finished(parts: list[DataFrame], e: Emit) -> DataFrame:
@@ -137,12 +180,13 @@ def explain(app: MiningApp, g: PropertyGraph, store: str = "list") -> str:
 
 
 def check_app(app: MiningApp, g: PropertyGraph, size: int = 3, limit: int = 2000) -> dict[str, int]:
-    """Violations of what the engine asks of a vertex-mode filter, on up to ``limit`` embeddings.
+    """Violations of what the engine asks of a filter, on up to ``limit`` embeddings a size.
 
     anti_monotone: children that pass though their parent fails. automorphism:
-    embeddings on which the filter depends on the order of their words.
+    embeddings on which the filter depends on the order of their words: of two vertices, and
+    of the last two edges.
     """
-    open_app = MiningApp("probe", app.mode, app.labelled, max_size=size)
+    open_app = MiningApp("probe", app.mode, app.labelled, app.labels, max_size=size)
     result = explore(g, open_app)
     bad = {"anti_monotone": 0, "automorphism": 0}
     for k in range(2, size + 1):
@@ -152,7 +196,10 @@ def check_app(app: MiningApp, g: PropertyGraph, size: int = 3, limit: int = 2000
         children = result.levels[k].limit(limit).withColumn("__phi", app.filter(view))
         parents = result.levels[k - 1].withColumn("__parent", app.filter(small)).select(*words(k - 1), "__parent")
         bad["anti_monotone"] += children.join(parents, words(k - 1)).where("__phi and not __parent").count()
-        if k == 2:
-            swapped = children.select(F.col("w1").alias("w0"), F.col("w0").alias("w1"), *[c for c in children.columns if c not in ("w0", "w1", "__phi")], F.col("__phi").alias("__before"))
+        # The last two words change places, with all that belongs to them in the row.
+        if k == 2 or app.mode == "edge":
+            pairs = [(f"{c}{k - 2}", f"{c}{k - 1}") for c in ("w" if app.mode == "vertex" else "wab")]
+            swap = {a: b for a, b in pairs} | {b: a for a, b in pairs}
+            swapped = children.select(*[F.col(swap.get(c, c)).alias("__before" if c == "__phi" else c) for c in children.columns])
             bad["automorphism"] += swapped.withColumn("__phi", app.filter(view)).where(~F.col("__phi").eqNullSafe(F.col("__before"))).count()
     return bad

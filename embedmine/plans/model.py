@@ -40,6 +40,15 @@ class EmbeddingView:
         """Bit i: the newest word touches word i (vertex mode, from size 2 on)."""
         return F.col("touch")
 
+    @property
+    def visited(self) -> Column:
+        """The embedding's vertices by first visit, as its quick code numbers them."""
+        return self.array() if self.mode == "vertex" else F.col("vs")
+
+    @property
+    def n_vertices(self) -> Column:
+        return F.lit(self.size) if self.mode == "vertex" else F.size("vs")
+
     @property
     def n_edges(self) -> Column:
         return F.bit_count("code") if self.mode == "vertex" else F.lit(self.size)
@@ -74,6 +83,17 @@ class Emit:
     when: str = "end"
 
 
+@dataclass(frozen=True)
+class Domains:
+    """A mapped value of another kind, keyed by pattern: the embedding's vertices, each for its place in the
+    pattern. Reduced by union place by place (of an orbit, since symmetric places have one domain); what is
+    read is the size of the smallest union. ``least``: sizes below it need not be known."""
+
+    name: str = "support"
+    least: int | None = None
+    key: str = PATTERN
+
+
 @dataclass(frozen=True)
 class MiningApp:
     """A filter-process application.
@@ -85,15 +105,20 @@ class MiningApp:
     whether an embedding is expanded, given the aggregates of its step;
     aggregation_output(view, read): columns written then. termination: stops an
     embedding after it was processed. ``read(name)`` is the column of an
-    aggregate of the embedding's key.
+    aggregate of the embedding's key. labelled: vertex labels in vertex-mode
+    patterns; labels: which labels edge-mode patterns have ("vertex", "edge", "both").
+    needs: columns of the newest vertex or edge that the functions read beside those of
+    the view, as a DataFrame keyed by ``word`` (degrees, attributes); joined to the candidates.
     """
 
     name: str
     mode: str = "vertex"
     labelled: bool = False
+    labels: str = "both"
+    needs: DataFrame | None = None
     filter: Callable[[EmbeddingView], Column] = lambda e: F.lit(True)
     output: Callable[[EmbeddingView], list[Column]] | None = None
-    maps: tuple[Emit, ...] = ()
+    maps: tuple[Emit | Domains, ...] = ()
     map_outputs: tuple[Emit, ...] = ()
     aggregation_filter: Callable[[EmbeddingView, Callable[[str], Column]], Column] | None = None
     aggregation_output: Callable[[EmbeddingView, Callable[[str], Column]], list[Column]] | None = None

@@ -12,10 +12,13 @@ _roots: dict[str, str] = {}
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """A folder of this session below ``spark.checkpoint.dir``; where that is unset, a temporary one."""
+    """A folder of this session below ``spark.checkpoint.dir``. Where that is unset, a temporary one if
+    driver and executors are one process; on a cluster it must be set, since they share no local folder."""
     context = spark.sparkContext
     base = context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()
     if not base:
+        if context.master != "local" and not context.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         base = tempfile.mkdtemp(prefix="embedmine-")
         context.setCheckpointDir(base)
     key = f"{context.applicationId}:{base}"

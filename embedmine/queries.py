@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from .apps import cliques, fsm, matching, motifs
 from .baselines import centralized, pattern_centric, vertex_centric
+from .functions import patterns
 from .functions.canonical import words
 from .metrics import funnel
 from .operators import aggregate, balance, expand, graph_helpers, layered
@@ -159,7 +160,7 @@ def edge_embeddings3_sets(s, d):
 
 @query
 def funnel_similar(s, d):
-    return funnel(s, explore(sim(s, d), motifs.app(3))).select("step", "candidates", "canonical")
+    return funnel(s, explore(sim(s, d), motifs.app(3), refused=True)).select("step", "candidates", "canonical")
 
 
 def growth(s, g, top):
@@ -399,14 +400,11 @@ add("dedupe_global", lambda s, d: vectors(centralized.dedupe_global(sim(s, d), 3
 def toy_quick(s, d):
     """Quick and canonical patterns of the edges of the worked example."""
     g = derived.toy_house(s)
-    f = expand.seed_edges(g).withColumn("code", expand.edge_code(1))
-    quick = written(aggregate.by_quick(f, {"n": F.count(F.lit(1))}), "quick")
-    from .functions import patterns
-
+    quick = written(aggregate.by_quick(expand.seed_edges(g, "vertex"), {"n": F.count(F.lit(1))}), "quick")
     forms = patterns.canonicalize(quick)
     names = F.create_map(F.lit("1"), F.lit("blue"), F.lit("2"), F.lit("yellow"))
-    spell = lambda c: F.array_join(F.transform(F.split(F.split(c, r"\|")[1], ","), lambda x: names[x]), "-")
-    return quick.join(forms, "code").select(spell("code").alias("quick"), spell("canon").alias("canonical"), "n")
+    spell = lambda c: F.array_join(F.transform(F.split(c, ","), lambda x: names[x]), "-")
+    return quick.join(forms, ["code", "labels"]).select(spell("labels").alias("quick"), spell(F.split("canon", r"\|")[1]).alias("canonical"), "n")
 
 
 add("toy_paths", lambda s, d: vectors(motifs.embeddings(derived.toy_paths(s), 3), 3))
@@ -423,7 +421,7 @@ add("kcore2", lambda s, d: graph_helpers.k_core(sim(s, d), 2))
 def support_approx(s, d):
     """Sketched supports of one-edge patterns: within a few per cent of the exact ones."""
     g = cop(s, d)
-    return one_edge(aggregate.approximate_support(expand.seed_edges(g), 1), g).select("lbl_a", "lbl_b", F.round("support", 0).alias("support"))
+    return one_edge(aggregate.approximate_support(expand.seed_edges(g, "vertex"), 1), g).select("lbl_a", "lbl_b", F.round("support", 0).alias("support"))
 
 
 def queries() -> dict[str, Query]:

@@ -11,7 +11,7 @@ from pyspark import cloudpickle
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .graph import PropertyGraph
+from .graph import PropertyGraph, dense_ids
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
@@ -45,7 +45,8 @@ def copart(spark: SparkSession, sf_dir: str, tau: int = 2, label: str = "p_type"
 
 @once
 def similar(spark: SparkSession, sf_dir: str, c: float = 0.3) -> PropertyGraph:
-    """Vectors of cosine at least ``c``; blocks of vectors are compared with blocks, each pair of blocks in one task."""
+    """Vectors of cosine at least ``c``; blocks of vectors are compared with blocks, each pair of blocks in one task.
+    A graph of all pairs above a threshold takes all comparisons: its building is quadratic by definition."""
     blocks, n_rows = 1, table(spark, sf_dir, "embeddings").count()
     while n_rows / blocks > 2000:  # a block pair holds at most 4000 vectors
         blocks *= 2
@@ -136,7 +137,7 @@ def weblink(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     """Pages (even ids) and the targets of their links (odd ids, by rank of the text)."""
     p = table(spark, sf_dir, "pages")
     links = p.select("page_id", "url", F.explode(F.regexp_extract_all("html", F.lit(r'href="([^"]+)"'))).alias("target"))
-    targets = links.select("target").distinct().select("target", (2 * F.row_number().over(Window.orderBy("target")) + 1).alias("b"))
+    targets = dense_ids(links.select("target").distinct(), ["target"], "place").select("target", (2 * F.col("place") + 3).alias("b"))
     pairs = links.join(targets, "target").select((2 * F.col("page_id")).alias("a"), "b")
     hosts = p.select((2 * F.col("page_id")).alias("vid"), F.regexp_extract("url", r"://([^/]+)", 1).alias("label"))
     return PropertyGraph.build(pairs, hosts.unionByName(targets.select(F.col("b").alias("vid"), F.lit("path").alias("label"))))

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.scratch import written
@@ -23,6 +23,21 @@ def dense_ids(df: DataFrame, order: list[str], name: str) -> DataFrame:
     return ranged.withColumn("__at", at).join(F.broadcast(before), "__range").withColumn(name, F.col("__before") + F.col("__at") - 1).drop("__range", "__at", "__before")
 
 
+def running_sum(df: DataFrame, group: list[str], order: list[str], value: str, name: str, kind: str) -> DataFrame:
+    """Adds ``name``: the sum of ``value`` over the rows before, in ``order`` within ``group``. As in
+    :func:`dense_ids`, ranges are summed apart, however many rows a group has."""
+    ranged = written(df.repartitionByRange(*group, *order).withColumn("__range", F.spark_partition_id()), "ranged")
+    sums = ranged.groupBy("__range", *group).agg(F.sum(value).cast(kind).alias("__n"))  # one row a range, but for groups within it
+    before = sums.select("__range", *group, F.coalesce(F.sum("__n").over(Window.partitionBy(*group).orderBy("__range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).cast(kind).alias("__before"))
+    inner = F.coalesce(F.sum(value).over(Window.partitionBy("__range", *group).orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    return ranged.withColumn("__at", inner).join(before, ["__range", *group]).withColumn(name, (F.col("__before") + F.col("__at")).cast(kind)).drop("__range", "__at", "__before")
+
+
+def measured(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
+    """``df`` for a join: broadcast if its count allows it, else joined by shuffle."""
+    return F.broadcast(df) if df.count() <= rows else df
+
+
 @dataclass
 class PropertyGraph:
     """vertices: vid long, vlabel int, vlabel_text; edges: eid long, src < dst, elabel int.
@@ -34,6 +49,8 @@ class PropertyGraph:
     vertices: DataFrame
     edges: DataFrame
     n_edges: int = 0
+    #: Whether two ids fit into one long.
+    narrow: bool = False
     _adjacency: DataFrame | None = field(default=None, repr=False)
 
     @classmethod
@@ -47,7 +64,7 @@ class PropertyGraph:
         kept = kept.groupBy("src", "dst").agg(F.min("elabel_text").alias("elabel_text"))
         edges = dense_ids(kept, ["src", "dst"], "eid")
         if edge_label:
-            edges = edges.join(F.broadcast(codes(edges, "elabel_text", "elabel")), "elabel_text", "left").withColumn("elabel", F.coalesce("elabel", F.lit(0)))
+            edges = edges.join(codes(edges, "elabel_text", "elabel"), "elabel_text", "left").withColumn("elabel", F.coalesce("elabel", F.lit(0)))
         else:
             edges = edges.withColumn("elabel", F.lit(0))
         edges = written(edges.select("eid", "src", "dst", "elabel", "elabel_text"), "edges")
@@ -58,9 +75,15 @@ class PropertyGraph:
             named = labels.select(F.col("vid").cast("long"), F.col("label").cast("string").alias("vlabel_text"))
             named = named.groupBy("vid").agg(F.min("vlabel_text").alias("vlabel_text"))
             named = named.unionByName(ends.distinct().join(named, "vid", "left_anti").select("vid", F.lit(None).cast("string").alias("vlabel_text")))
-            vertices = named.join(F.broadcast(codes(named, "vlabel_text", "vlabel")), "vlabel_text", "left").select("vid", F.coalesce("vlabel", F.lit(0)).alias("vlabel"), "vlabel_text")
+            vertices = named.join(codes(named, "vlabel_text", "vlabel"), "vlabel_text", "left").select("vid", F.coalesce("vlabel", F.lit(0)).alias("vlabel"), "vlabel_text")
         vertices = written(vertices, "vertices")
-        return cls(vertices, edges, edges.count())
+        return cls.of(vertices, edges)
+
+    @classmethod
+    def of(cls, vertices: DataFrame, edges: DataFrame) -> PropertyGraph:
+        """From finished tables; counts the edges and looks at the range of their ends."""
+        n, low, high = edges.agg(F.count(F.lit(1)), F.min("src"), F.max("dst")).first()
+        return cls(vertices, edges, n, n == 0 or (low >= 0 and high < 1 << 31))
 
     @property
     def adjacency(self) -> DataFrame:
@@ -76,6 +99,15 @@ class PropertyGraph:
     def small(self) -> bool:
         return 2 * self.n_edges <= BROADCAST_ROWS
 
+    def linked(self, a: Column, b: Column, flag: str) -> tuple[DataFrame, Column]:
+        """(table, condition) of a join that sets ``flag`` to 1 where a and b are neighbours."""
+        both = self.adjacency
+        if self.narrow:
+            table = both.select(F.shiftleft("vid", 32).bitwiseOR(F.col("nbr")).alias(f"{flag}_to"), F.lit(1).alias(flag))
+            return self.shared(table), F.shiftleft(a, 32).bitwiseOR(b) == F.col(f"{flag}_to")
+        table = both.select(F.col("vid").alias(f"{flag}_of"), F.col("nbr").alias(f"{flag}_to"), F.lit(1).alias(flag))
+        return self.shared(table), (a == F.col(f"{flag}_of")) & (b == F.col(f"{flag}_to"))
+
     def shared(self, df: DataFrame) -> DataFrame:
         """``df``, broadcast if the graph's measured size allows it."""
         return F.broadcast(df) if self.small else df
@@ -106,7 +138,7 @@ class PropertyGraph:
         ids = v.select("vid")
         e = self.edges.join(ids.withColumnRenamed("vid", "src"), "src", "left_semi").join(ids.withColumnRenamed("vid", "dst"), "dst", "left_semi")
         e = written(e.select(self.edges.columns), "edges")
-        return PropertyGraph(v, e, e.count())
+        return PropertyGraph.of(v, e)
 
     def relabelled_by_degree(self) -> PropertyGraph:
         """Ids by rising degree: canonical orders then start at vertices of low degree, away from hubs."""
@@ -119,6 +151,7 @@ class PropertyGraph:
 
 
 def codes(df: DataFrame, text: str, name: str) -> DataFrame:
-    """Distinct texts of a label column numbered from 1; labels are a small dictionary."""
+    """Distinct texts of a label column numbered from 1, for a join: broadcast if they are few by their count."""
     distinct = df.select(text).where(F.col(text).isNotNull()).distinct()
-    return distinct.select(text, F.row_number().over(Window.orderBy(text)).alias(name))
+    numbered = dense_ids(distinct, [text], "__place").select(text, (F.col("__place") + 1).cast("int").alias(name))
+    return measured(written(numbered, "labels"))

@@ -11,7 +11,7 @@ from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..plans.scratch import scratch_root
+from ..plans.scratch import scratch_root, written
 from ..sources.graph import PropertyGraph
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
@@ -44,11 +44,12 @@ def sessions(events: DataFrame, minutes: int) -> DataFrame:
 
 
 def late(events: DataFrame, microseconds: int) -> DataFrame:
-    """late, n: the batch form of a watermark; arrival order is the id, cut in ranges whose maxima are carried on."""
-    bucket = F.floor(F.col("event_id") / 4096)
-    e = events.select("event_id", micros("ts").alias("t"), bucket.alias("b"))
+    """late, n: the batch form of a watermark; arrival order is the id, cut in ranges whose maxima are carried on.
+    The ranges are those of a sort by id, so their number is that of the shuffle's partitions."""
+    e = events.select("event_id", micros("ts").alias("t")).repartitionByRange("event_id").withColumn("b", F.spark_partition_id())
+    e = written(e, "arrivals")
     tops = e.groupBy("b").agg(F.max("t").alias("top"))
-    before = tops.select("b", F.max("top").over(Window.orderBy("b").rowsBetween(Window.unboundedPreceding, -1)).alias("before"))
+    before = tops.select("b", F.max("top").over(Window.orderBy("b").rowsBetween(Window.unboundedPreceding, -1)).alias("before"))  # a row for each range
     inner = F.max("t").over(Window.partitionBy("b").orderBy("event_id").rowsBetween(Window.unboundedPreceding, 0))
     seen = e.withColumn("inner", inner).join(before, "b").select("t", F.greatest("inner", "before").alias("seen"))
     return seen.groupBy((F.col("t") < F.col("seen") - microseconds).alias("late")).agg(F.count(F.lit(1)).alias("n"))
