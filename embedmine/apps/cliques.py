@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -21,37 +23,39 @@ def forward(g: PropertyGraph) -> DataFrame:
     return g.adjacency.where("nbr > vid").groupBy("vid").agg(F.collect_list("nbr").alias("ahead"))
 
 
-def find_cliques(g: PropertyGraph, max_size: int = 5) -> dict[int, DataFrame]:
-    """Cliques by size, w0 < w1 < ...
+def open_cliques(g: PropertyGraph, max_size: int) -> Iterator[tuple[int, DataFrame]]:
+    """(k, cliques of k vertices with ``open``, the larger vertices that touch all of them) for k below ``max_size``.
 
-    A clique's canonical order is the rising one, so a row carries its members
-    and the larger vertices that touch them all: each of these is an extension,
-    and the list of the child is the intersection with that vertex's own list.
+    A clique's canonical order is the rising one: each open vertex is an
+    extension, and the child's list is the intersection with that vertex's own list.
     """
-    ahead = written(forward(g), "forward")
-    out = {1: g.vertices.select(F.col("vid").alias("w0"))}
     if max_size < 2:
-        return out
+        return
+    ahead = written(forward(g), "forward")
     now = ahead.select(F.col("vid").alias("w0"), F.col("ahead").alias("open"))
-    for k in range(1, max_size):
+    yield 1, now
+    for k in range(1, max_size - 1):
         grown = now.select(*words(k), "open", F.explode("open").alias(f"w{k}"))
-        out[k + 1] = grown.select(*words(k + 1))
-        if k + 1 == max_size:
-            break
         joined = grown.join(g.shared(ahead.withColumnRenamed("vid", f"w{k}")), f"w{k}")
         now = joined.select(*words(k + 1), F.array_intersect("open", "ahead").alias("open")).where(F.size("open") > 0)
-        if k > 1:
-            now = written(now, f"cliques-{k + 1}")
+        now = written(now, f"cliques-{k + 1}")
+        yield k + 1, now
+
+
+def find_cliques(g: PropertyGraph, max_size: int = 5) -> dict[int, DataFrame]:
+    """Cliques by size, w0 < w1 < ..."""
+    out = {1: g.vertices.select(F.col("vid").alias("w0"))}
+    for k, f in open_cliques(g, max_size):
+        out[k + 1] = f.select(*words(k), F.explode("open").alias(f"w{k}"))
     return out
 
 
 def clique_counts(g: PropertyGraph, max_size: int = 5) -> DataFrame:
-    """k, n; the largest size is counted from the lists, never enumerated."""
-    out = None
-    for k, f in find_cliques(g, max_size).items():
-        used = g.edges.select(F.explode(F.array("src", "dst")).alias("w0")).distinct() if k == 1 else f
-        row = used.agg(F.count(F.lit(1)).alias("n")).select(F.lit(k).alias("k"), "n")
-        out = row if out is None else out.unionByName(row)
+    """k, n; the largest size is the sum of its parents' lists, never enumerated."""
+    used = g.edges.select(F.explode(F.array("src", "dst")).alias("w0")).distinct()
+    out = used.agg(F.count(F.lit(1)).alias("n")).select(F.lit(1).alias("k"), "n")
+    for k, f in open_cliques(g, max_size):
+        out = out.unionByName(f.agg(F.coalesce(F.sum(F.size("open")), F.lit(0)).cast("long").alias("n")).select(F.lit(k + 1).alias("k"), "n"))
     return out.where("n > 0")
 
 

@@ -1,13 +1,14 @@
-"""Centralized methods on the same problems: motif census by closed formulas, cliques by ordered joins,
+"""Centralized methods on the same problems: motif census by closed formulas and by a tree of patterns, cliques by ordered joins,
 coordinated de-duplication, and brute force for toys."""
 
 from __future__ import annotations
 
-from itertools import combinations
+from itertools import combinations, permutations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions import patterns
 from ..functions.canonical import every, words
 from ..operators import expand
 from ..plans.scratch import written
@@ -50,6 +51,50 @@ def motif_census(g: PropertyGraph, k: int) -> DataFrame:
     return spark.createDataFrame([r for r in rows if r[3]], "k int, n_edges int, degs string, n long")
 
 
+def census_by_tree(g: PropertyGraph, k: int) -> DataFrame:
+    """k, n_edges, degs, n of every connected pattern of ``k`` vertices, matched along a tree of patterns.
+
+    Each pattern's vertices are ordered so that every prefix is connected and,
+    where it can be, a prefix of a pattern that is in the tree already. A node of the
+    tree is the table of induced mappings of its prefix, made once from its parent's by one join
+    and tests, and shared by all patterns below. A pattern's count is its mappings over its symmetries.
+    """
+    links = g.adjacency.select("vid", "nbr")
+    shapes: dict[int, set] = {1: {((0,), ())}}
+    for n in range(2, k + 1):
+        shapes[n] = {patterns.canonical((0,) * n, (*edges, *[(i, n - 1, 0) for i in more]))[0] for _, edges in shapes[n - 1] for size in range(1, n) for more in combinations(range(n - 1), size)}
+    nodes: dict[tuple, DataFrame] = {((),): g.adjacency.select(F.col("vid").alias("x0")).distinct()}
+
+    def table(path: tuple) -> DataFrame:
+        """Mappings of a prefix, given for each vertex by the earlier ones that it touches."""
+        if path not in nodes:
+            near, i = path[-1], len(path) - 1
+            now = table(path[:-1]).join(g.shared(links.select(F.col("vid").alias(f"x{near[0]}"), F.col("nbr").alias(f"x{i}"))), f"x{near[0]}")
+            now = now.where(every([F.col(f"x{i}") != F.col(f"x{j}") for j in range(i)]))
+            for j in range(i):
+                if j != near[0]:
+                    other = links.select(F.col("vid").alias(f"x{j}"), F.col("nbr").alias(f"x{i}"))
+                    now = now.join(g.shared(other), [f"x{j}", f"x{i}"], "left_semi" if j in near else "left_anti")
+            nodes[path] = written(now, "census") if i + 1 < k else now
+        return nodes[path]
+
+    rows = []
+    for form in sorted(shapes[k]):
+        near = {v: {b if a == v else a for a, b, _ in form[1] if v in (a, b)} for v in range(k)}
+        paths = []
+        for order in permutations(range(k)):
+            path = tuple(tuple(i for i in range(j) if order[i] in near[order[j]]) for j in range(k))
+            if all(path[1:]):
+                paths.append(path)
+        symmetries = paths.count(paths[0])
+        best = max(set(paths), key=lambda p: (sum(p[: i + 1] in nodes for i in range(k)), p))
+        found = table(best).count()
+        if found:
+            _, _, n_edges, degs, *_ = patterns.described(*form)
+            rows.append((k, n_edges, degs, found // symmetries))
+    return g.edges.sparkSession.createDataFrame(rows, "k int, n_edges int, degs string, n long")
+
+
 def clique_join(g: PropertyGraph, k: int) -> DataFrame:
     """k-cliques by an ordered self-join of the edges: w0 < w1 < ..."""
     e = g.edges.select(F.col("src").alias("s"), F.col("dst").alias("t"))

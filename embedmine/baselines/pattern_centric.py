@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from collections.abc import Callable
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import patterns
@@ -13,11 +15,12 @@ from ..sources.graph import PropertyGraph
 Pattern = tuple[tuple[int, ...], tuple[tuple[int, int, int], ...]]
 
 
-def mappings(g: PropertyGraph, group: list[Pattern]) -> DataFrame:
+def mappings(g: PropertyGraph, group: list[Pattern], among: Callable[[Column], Column] | None = None) -> DataFrame:
     """pid and all mappings x0, x1, ... of patterns that differ in their labels only: a join for each edge.
 
     ``pid`` is the place in ``group``; the patterns' labels travel with the rows,
-    so that one plan serves them all.
+    so that one plan serves them all. ``among``: a test of the first vertex's place in a
+    fixed shuffle of all, 0 to 999.
     """
     edges = group[0][1]
     n = len(group[0][0])
@@ -26,7 +29,9 @@ def mappings(g: PropertyGraph, group: list[Pattern]) -> DataFrame:
     rest = list(edges)
     a, b, _ = rest.pop(0)
     first = side.select(F.col("vid").alias(f"x{a}"), F.col("nbr").alias(f"x{b}"), F.col("vlabel").alias(f"l{a}"), F.col("nlabel").alias(f"l{b}"))
-    now = first.join(F.broadcast(wanted), [f"l{a}", f"l{b}"])
+    if among is not None:
+        first = first.where(among(F.pmod(F.xxhash64(f"x{a}"), F.lit(1000))))
+    now = first.join(F.broadcast(wanted), [f"l{a}", f"l{b}"])  # patterns come from the driver, a few thousand at most
     seen = [a, b]
     while rest:
         a, b, _ = edge = next(e for e in rest if e[0] in seen or e[1] in seen)
@@ -55,16 +60,37 @@ def supports(g: PropertyGraph, group: list[Pattern]) -> dict[Pattern, int]:
         n = len(same[0][0])
         images = mappings(g, same).select("pid", F.explode(F.array(*[F.struct(F.lit(v).alias("v"), F.col(f"x{v}").alias("x")) for v in range(n)])).alias("i")).select("pid", "i.v", "i.x").distinct()
         least = images.groupBy("pid", "v").agg(F.count(F.lit(1)).alias("n")).groupBy("pid").agg(F.min("n").alias("n"))
-        for r in least.collect():
+        for r in least.collect():  # one row a pattern
             out[same[r["pid"]]] = r["n"]
     return out
 
 
-def reaches(g: PropertyGraph, p: Pattern, threshold: int) -> bool:
-    """Whether every pattern vertex has ``threshold`` images; matching stops as soon as that many are found."""
-    found = mappings(g, [p])
-    orbit = patterns.canonical(*p)[2]
-    return all(found.select(f"x{v}").distinct().limit(threshold).count() >= threshold for v in sorted(set(orbit.index(o) for o in set(orbit))))
+#: Bounds of the slices of first vertices that early stopping matches one after another (shares of all).
+SLICES = (0.0, 0.1, 0.3, 1.0)
+
+
+def reaching(g: PropertyGraph, group: list[Pattern], threshold: int) -> dict[Pattern, int]:
+    """``threshold`` for each pattern of which every vertex has so many images, 0 for the others.
+
+    Matching stops early: it begins with a slice of the first vertices, and only patterns that
+    have not reached the threshold yet are matched on the next, larger slice.
+    """
+    out = dict.fromkeys(group, 0)
+    for same in by_shape(group):
+        n, left, before = len(same[0][0]), list(same), None
+        for low, high in zip(SLICES[:-1], SLICES[1:]):
+            found = mappings(g, left, lambda x, low=low, high=high: x.between(int(low * 1000), int(high * 1000) - 1))
+            names = g.edges.sparkSession.createDataFrame([(i, same.index(p)) for i, p in enumerate(left)], "pid int, of int")
+            found = found.join(F.broadcast(names), "pid")
+            images = found.select("of", F.explode(F.array(*[F.struct(F.lit(v).alias("v"), F.col(f"x{v}").alias("x")) for v in range(n)])).alias("i")).select("of", "i.v", "i.x").distinct()
+            images = written(images if before is None else images.unionByName(before).distinct(), "images")
+            sizes = images.groupBy("of", "v").agg(F.count(F.lit(1)).alias("n")).groupBy("of").agg(F.min("n").alias("n"), F.count(F.lit(1)).alias("places"))
+            for r in sizes.where((F.col("n") >= threshold) & (F.col("places") == n)).collect():
+                out[same[r["of"]]] = threshold
+            left, before = [p for p in same if not out[p]], images
+            if not left:
+                break
+    return out
 
 
 def extensions(p: Pattern, pairs: set[tuple[int, int]]) -> set[tuple]:
@@ -96,7 +122,7 @@ def frequent_patterns(g: PropertyGraph, threshold: int, max_edges: int, early_st
     now = {patterns.canonical(p, ((0, 1, 0),))[0] for p in pairs}
     out, frequent_pairs = [], set()
     for size in range(1, max_edges + 1):
-        found = {p: threshold * reaches(g, p, threshold) for p in now} if early_stop else supports(g, sorted(now))
+        found = (reaching(g, sorted(now), threshold) if early_stop else supports(g, sorted(now))) if now else {}
         kept = [p for p in sorted(now) if found[p] >= threshold]
         out += [(size, p, found[p]) for p in kept]
         if size == 1:
@@ -111,10 +137,22 @@ def frequent_table(g: PropertyGraph, threshold: int, max_edges: int, early_stop:
     return g.edges.sparkSession.createDataFrame(rows, "size int, canon string, k int, n_edges int, degs string, lbls string, support long")
 
 
-def embeddings_by_pattern(g: PropertyGraph, max_edges_one: bool = True) -> DataFrame:
-    """lbls, n_embeddings of the one-edge patterns: what a worker per pattern would hold, hot spots included."""
-    low, high = F.least("vlabel", "nlabel"), F.greatest("vlabel", "nlabel")
-    return g.adjacency.where("vid < nbr").groupBy(F.concat_ws("|", low, high).alias("lbls")).agg(F.count(F.lit(1)).alias("n_embeddings"))
+def embeddings_by_pattern(g: PropertyGraph, threshold: int, max_edges: int) -> DataFrame:
+    """size, lbls, n_mappings: what each worker holds where a pattern is one worker's task.
+
+    The mappings of every frequent pattern are dealt by pattern, so that a
+    pattern's matching and support are one task's work, and counted there: popular
+    patterns are hot spots, and no more tasks have work than there are patterns.
+    """
+    out = None
+    found = frequent_patterns(g, threshold, max_edges)
+    for size in range(1, max_edges + 1):
+        for same in by_shape([p for s, p, _ in found if s == size]):
+            names = g.edges.sparkSession.createDataFrame([(i, "|".join(map(str, sorted(p[0])))) for i, p in enumerate(same)], "pid int, lbls string")
+            held = mappings(g, same).repartition("pid").groupBy("pid").agg(F.count(F.lit(1)).alias("n_mappings"))
+            row = held.join(F.broadcast(names), "pid").select(F.lit(size).alias("size"), "lbls", "n_mappings")
+            out = row if out is None else out.unionByName(row)
+    return out if out is not None else g.edges.sparkSession.createDataFrame([], "size int, lbls string, n_mappings long")
 
 
 def skew(loads: DataFrame, value: str) -> DataFrame:

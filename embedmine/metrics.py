@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import resource
+import inspect
 import time
 from collections.abc import Callable
 from statistics import median
@@ -56,9 +56,33 @@ def parquet_bytes(df: DataFrame) -> int:
     return total
 
 
-def peak_memory_mb() -> float:
-    """Peak resident memory of this process."""
-    return resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024
+def peak_memory_mb(spark: SparkSession) -> dict[str, float]:
+    """Peak heap of each executor (the driver's own where it runs the tasks), as the session has recorded it so far."""
+    out = {}
+    listed = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    for i in range(listed.size()):
+        one = listed.apply(i)
+        peak = one.peakMemoryMetrics()
+        heap = peak.get().getMetricValue("JVMHeapMemory") if peak.isDefined() else 0
+        if not heap:  # nothing recorded yet: what the pools of this process have held
+            pools = spark.sparkContext._jvm.java.lang.management.ManagementFactory.getMemoryPoolMXBeans()
+            heap = sum(p.getPeakUsage().getUsed() for p in pools if p.getType().toString() == "Heap memory")
+        out[one.id()] = round(heap / 1e6, 1)
+    return out
+
+
+def lines_of_code(*functions: Callable) -> int:
+    """Lines of an application's own functions without blank lines and docstrings."""
+    total = 0
+    for f in functions:
+        source = [x for x in inspect.getsource(f).splitlines() if x.strip()]
+        total += len(source) - len((f.__doc__ or "").strip().splitlines())
+    return total
+
+
+def messages(spark: SparkSession, runs: dict[str, list[int]]) -> DataFrame:
+    """paradigm, messages: rows that passed between steps or owners, summed over a run."""
+    return spark.createDataFrame([(name, sum(n)) for name, n in runs.items()], "paradigm string, messages long")
 
 
 def hot_spots(df: DataFrame, key: str) -> DataFrame:
@@ -67,6 +91,15 @@ def hot_spots(df: DataFrame, key: str) -> DataFrame:
     return n.agg(F.count(F.lit(1)).alias("n_keys"), F.max("n").alias("most"), F.round(F.avg("n"), 6).alias("mean"), F.round(F.max("n") / F.sum("n"), 6).alias("share"))
 
 
+def phase_shares(result: MiningResult) -> dict[str, float]:
+    """Share of a run's seconds by what the engine does apart: growing (read, generate, canonicality, filter, write),
+    aggregation by pattern with the aggregation filter, and the path store (write, decode)."""
+    total = sum(r.get("seconds", 0) for r in result.funnel) or 1.0
+    grow = sum(r.get("seconds_grow", 0) for r in result.funnel)
+    by_pattern = sum(r.get("seconds_aggregate", 0) for r in result.funnel)
+    return {"grow": round(grow / total, 4), "aggregate": round(by_pattern / total, 4), "store": round(max(0.0, 1 - (grow + by_pattern) / total), 4)}
+
+
 def phase_breakdown(g, size: int) -> dict[str, float]:
     """Share of seconds of a vertex-mode step that grows to ``size``: read, generate, canonicality and
     grouping, pattern aggregation, write. Plans of growing length are timed and their times subtracted."""

@@ -30,6 +30,8 @@ def by_pattern(quick: DataFrame, k: int | None, merge: dict[str, Column]) -> Dat
 def forms_of(f: DataFrame, k: int | None, values: dict[str, Column] | None = None) -> DataFrame:
     """The quick codes of a level, one row each: n embeddings, further first-level values, canonical form."""
     quick = by_quick(f, {"n": F.count(F.lit(1)), **(values or {})})
+    # Codes are few bytes but dear to canonicalize: dealt to all tasks, not merged by their size.
+    quick = quick.repartition(int(f.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     return written(patterns.canonicalize(quick, k, grouped=True), "forms")
 
 
@@ -61,11 +63,13 @@ def supports(f: DataFrame, forms: DataFrame, least: int | None = None, name: str
     keys = code_keys(f)
     if least is not None:
         hopeful = forms.groupBy("canon", "k").agg(F.sum("n").alias("n")).where(F.col("n") * F.col("k") >= least).select("canon")
-        forms = forms.join(hopeful, "canon", "left_semi")
-    of = measured(forms.select(*keys, "canon", "orbit"))
-    images = f.select(*keys, "vs").join(of, keys).select("canon", F.explode(F.arrays_zip("orbit", "vs")).alias("i")).select("canon", "i.orbit", "i.vs").distinct()
-    sizes = images.groupBy("canon", "orbit").agg(F.count(F.lit(1)).alias("size")).groupBy("canon").agg(F.min("size").alias(name))
-    return sizes.join(forms.select("canon", *PATTERN).distinct(), "canon").select("canon", *PATTERN, name)
+        forms = written(forms.join(hopeful, "canon", "left_semi"), "hopeful")
+    # Patterns travel as two hashes of their form, 128 bits: narrow rows of fixed width for the wide distinct.
+    form = [F.xxhash64("canon").alias("form"), F.xxhash64("canon", F.lit(1)).alias("again")]
+    of = measured(forms.select(*keys, *form, "orbit"))
+    images = f.select(*keys, "vs").join(of, keys).select("form", "again", F.explode(F.arrays_zip("orbit", "vs")).alias("i")).select("form", "again", "i.orbit", "i.vs").distinct()
+    sizes = images.groupBy("form", "again", "orbit").agg(F.count(F.lit(1)).alias("size")).groupBy("form", "again").agg(F.min("size").alias(name))
+    return forms.select("canon", *PATTERN, *form).distinct().join(sizes, ["form", "again"]).select("canon", *PATTERN, name)
 
 
 def approximate_support(f: DataFrame, k: int, error: float = 0.02) -> DataFrame:

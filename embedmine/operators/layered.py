@@ -26,6 +26,8 @@ from .expand import ends, grown_edges, seeded, touched
 
 #: Bytes of a store edge and of a word in a list.
 EDGE_BYTES, WORD_BYTES = 20, 8
+#: Store edges from which the paths are dealt by their cost between steps; below, a task's share is not worth its plan.
+DEALT_EDGES = 100_000
 Alpha = Callable[[DataFrame, int], DataFrame]
 
 
@@ -149,12 +151,12 @@ def _grown(paths: DataFrame, g: PropertyGraph, i: int, keep: tuple[str, ...], la
 
 def stored_and_decoded(level: DataFrame, g: PropertyGraph, k: int, app: MiningApp, store: str, alpha: Alpha | None = None) -> tuple[DataFrame, int]:
     """A level as the next step reads it from a path store, and the rows handed over (store edges, or
-    embeddings); "auto" leaves it a list where that is smaller. Paths are dealt by cost to as many tasks as a shuffle has."""
+    embeddings); "auto" leaves it a list where that is smaller. The paths of a large store are dealt by cost to as many tasks as a shuffle has."""
     edges = written(build(level, k), f"paths-{k}")
     n, listed = edges.count(), level.count()
     if store == "auto" and n * EDGE_BYTES >= listed * k * WORD_BYTES:
         return level, listed
-    parts = int(level.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    parts = int(level.sparkSession.conf.get("spark.sql.shuffle.partitions")) if n >= DEALT_EDGES else None
     return written(decode(edges, g, k, app, parts=parts, alpha=alpha).select(level.columns), f"decoded-{k}"), n
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .queries import PATH_LABELS, THETA
+from .queries import DEEP, NO_MAXIMUM, PATH_LABELS, THETA
 
 _EDGES = {
     "similar": "SELECT a.vec_id AS src, b.vec_id AS dst FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id WHERE list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) >= 0.3",
@@ -106,13 +106,13 @@ FROM al a JOIN al b ON b.vid = a.nbr JOIN adj c ON c.vid = b.nbr AND c.nbr = a.v
 g3 AS MATERIALIZED (SELECT shape, any_value(ls) AS ls, least(count(DISTINCT q[1]), count(DISTINCT q[2]), count(DISTINCT q[3]), CASE WHEN shape = 'triangle' THEN 1000000000 ELSE count(DISTINCT q[4]) END) AS support FROM x3 GROUP BY shape, key)"""
 
 
-def _fsm3() -> str:
+def _fsm3(name: str = "similar", least: int = 3) -> str:
     return build(
-        "similar", _ADJL, _FSM1, _FSM2, _P3,
+        name, _ADJL, _FSM1, _FSM2, _P3,
         select="""SELECT CAST(k AS BIGINT) AS k, CAST(n_edges AS BIGINT) AS n_edges, degs, lbls, CAST(support AS BIGINT) AS support FROM (
 SELECT 2 AS k, 1 AS n_edges, '1-1' AS degs, array_to_string(list_sort([la, lb]), '|') AS lbls, support FROM p1
 UNION ALL SELECT 3, 2, '1-1-2', array_to_string(list_sort([lc, la, lb]), '|'), support FROM p2
-UNION ALL SELECT CASE shape WHEN 'triangle' THEN 3 ELSE 4 END, 3, CASE shape WHEN 'path' THEN '1-1-2-2' WHEN 'star' THEN '1-1-1-3' ELSE '2-2-2' END, array_to_string(list_sort(ls), '|'), support FROM g3) WHERE support >= 3""",
+UNION ALL SELECT CASE shape WHEN 'triangle' THEN 3 ELSE 4 END, 3, CASE shape WHEN 'path' THEN '1-1-2-2' WHEN 'star' THEN '1-1-1-3' ELSE '2-2-2' END, array_to_string(list_sort(ls), '|'), support FROM g3) WHERE support >= """ + str(least),
     )
 
 
@@ -209,9 +209,55 @@ SELECT a.vid AS x, b.vid AS y, a.label AS la, b.label AS lb, elabel FROM (SELECT
         last = f"c{i}"
     out["kcore2"] = build("similar", *peel, select=f"SELECT vid, count(*) AS value FROM {last} GROUP BY vid")
     out["aggregation_reduction"] = build("similar", _SETS3, _SETS4, _DEGS4, _ORDER4, select=_REDUCTION)
+    # One pattern's paths have the ordinals 0 to t - 1; part p of 4 has those x with floor(4 x / t) = p.
+    paths = "tot AS (SELECT a.n_edges, count(*) AS t FROM st a JOIN st b ON a.level = 0 AND b.level = 1 AND a.n_edges = b.n_edges AND a.next = b.node GROUP BY a.n_edges), part AS (SELECT p, sum((t * (p + 1) + 3) // 4 - (t * p + 3) // 4) AS cost FROM tot, (SELECT unnest([0, 1, 2, 3]) AS p) GROUP BY p HAVING sum((t * (p + 1) + 3) // 4 - (t * p + 3) // 4) > 0)"
+    out["path_partition"] = build("similar", _SETS3, _ORDER3, _STORE, paths, select="SELECT CAST(p AS BIGINT) AS part, CAST(cost AS BIGINT) AS cost FROM part")
+    out["path_balance"] = build("similar", _SETS3, _ORDER3, _STORE, paths, select="SELECT count(*) AS n_parts, CAST(max(cost) AS DOUBLE) AS most, avg(CAST(cost AS DOUBLE)) AS mean, round(max(cost) / avg(CAST(cost AS DOUBLE)), 6) AS imbalance FROM part")
+    out["support_approx"] = out["fsm1_copart"]
+    for name in ("embedding", "vertex", "pattern"):
+        out[f"paradigm_fsm_{name}"] = out["fsm2_copart"]
+    out["paradigm_messages"] = build("copart", _ADJL, _FSM1, select=f"""SELECT paradigm, CAST(messages AS BIGINT) AS messages FROM (
+SELECT 'embedding' AS paradigm, (SELECT coalesce(sum(n), 0) FROM p1 WHERE {frequent}) AS messages
+UNION ALL SELECT 'vertex', (SELECT coalesce(sum(CAST(a.d > 1 AS INT) + CAST(b.d > 1 AS INT)), 0) FROM al JOIN deg a ON a.vid = al.vid JOIN deg b ON b.vid = al.nbr JOIN p1 ON la = least(vl, nl) AND lb = greatest(vl, nl) WHERE al.vid < al.nbr AND {frequent})
+UNION ALL SELECT 'pattern', 0)""")
+    out["fsm_engine_paths"] = out["mine_then_match"]
+    out["fsm3_copart"] = out["fsm3_copart_paths"] = _fsm3("copart", DEEP)
+    out["fsm_no_maximum"] = _fsm3("copart", NO_MAXIMUM)
+    out["fsm2_custsupp"] = build("custsupp", """al AS MATERIALIZED (SELECT adj.*, a.label AS vl, b.label || ':' || e.elabel AS arm FROM adj JOIN e USING (eid) JOIN lab a ON a.vid = adj.vid JOIN lab b ON b.vid = adj.nbr)""", select="SELECT a.vl AS center, a.arm AS arm_a, b.arm AS arm_b, least(count(DISTINCT a.vid), count(DISTINCT a.nbr), count(DISTINCT b.nbr)) AS support FROM al a JOIN al b ON a.vid = b.vid AND a.nbr <> b.nbr WHERE a.arm <= b.arm GROUP BY ALL HAVING least(count(DISTINCT a.vid), count(DISTINCT a.nbr), count(DISTINCT b.nbr)) >= 2")
+    triples = "t3 AS (SELECT DISTINCT q FROM (SELECT list_sort([a.f, a.t, b.t]) AS q FROM inc a JOIN inc b ON b.f = a.t WHERE b.t <> a.f))"
+    out["store_size_fsm"] = build("copart", pairs, triples, select="SELECT k, list_words, list_words * 8 AS list_bytes FROM (SELECT CAST(2 AS BIGINT) AS k, (SELECT count(*) FROM inc) AS list_words UNION ALL SELECT 3, 3 * (SELECT count(*) FROM t3))")
+    out["store_size_coactive"] = build("coactive", _SETS3, _ORDER3, _STORE, select="SELECT CAST(3 AS BIGINT) AS k, list_words, store_edges, list_words * 8 AS list_bytes, store_edges * 20 AS store_bytes FROM (SELECT 3 * (SELECT count(*) FROM f3) AS list_words, (SELECT count(*) FROM st) AS store_edges)")
+    one = "one AS (SELECT DISTINCT level, node, next FROM st)"
+    out["store_spurious"] = build("similar", _SETS3, _ORDER3, _STORE, one, select="SELECT store_edges, paths, embeddings, paths - embeddings AS spurious FROM (SELECT (SELECT count(*) FROM one) AS store_edges, (SELECT count(*) FROM one a JOIN one b ON a.level = 0 AND b.level = 1 AND b.node = a.next) AS paths, (SELECT count(*) FROM f3) AS embeddings)")
+    out["store_roundtrip_edges"] = out["edge_embeddings2"]
+    out["store_roundtrip_parts"] = out["vertex_embeddings3"]
+    out["store_roundtrip_labelled"] = out["motifs3_engine_labelled_paths"] = out["motifs3_labelled_copart"]
+    for name in ("custsupp", "coactive"):
+        out[f"two_level_{name}"] = build(name, _SETS3, _ORDER3, select=out["quick_patterns_similar"].rsplit("\n", 1)[1])
+    out["two_level_fsm"] = build("copart", _ADJL, select="""SELECT count(*) AS n_embeddings, count(DISTINCT (shared, l1, l2, l3)) AS n_quick, count(DISTINCT (CASE shared WHEN 1 THEN l1 ELSE l2 END, least(l3, CASE shared WHEN 1 THEN l2 ELSE l1 END), greatest(l3, CASE shared WHEN 1 THEN l2 ELSE l1 END))) AS n_canonical FROM (
+SELECT CASE WHEN x.src IN (y.src, y.dst) THEN 1 ELSE 2 END AS shared, a.label AS l1, b.label AS l2, c.label AS l3
+FROM e x JOIN e y ON x.eid < y.eid AND (x.src IN (y.src, y.dst) OR x.dst IN (y.src, y.dst)) JOIN lab a ON a.vid = x.src JOIN lab b ON b.vid = x.dst JOIN lab c ON c.vid = CASE WHEN y.src IN (x.src, x.dst) THEN y.dst ELSE y.src END)""")
+    out["one_level_custsupp"] = out["motifs3_custsupp"]
+    out["motifs_upto4_copart"] = build("copart", _TRI, _SETS3, _SETS4, _DEGS4, select=f"{_MOTIF4} UNION ALL ({_MOTIF3})")
+    out["outputs_to_sink"] = build("docs", _CLIQ[3], select="SELECT CAST(s AS BIGINT) AS k, n FROM (SELECT 2 AS s, (SELECT count(*) FROM e) AS n UNION ALL SELECT 3, (SELECT count(*) FROM k3)) WHERE n > 0")
+    out["degree_filter"] = build("similar", select="""SELECT CAST(size AS BIGINT) AS size, n FROM (
+SELECT 1 AS size, (SELECT count(*) FROM low) AS n UNION ALL SELECT 2, (SELECT count(*) FROM link WHERE vid < nbr)
+UNION ALL SELECT 3, (SELECT count(DISTINCT list_sort([p.vid, p.nbr, r.nbr])) FROM link p JOIN link r ON p.nbr = r.vid WHERE p.vid <> r.nbr)) WHERE n > 0""").replace("lab AS MATERIALIZED", "low AS MATERIALIZED (SELECT vid FROM deg WHERE d <= 8), link AS MATERIALIZED (SELECT vid, nbr FROM adj WHERE vid IN (SELECT vid FROM low) AND nbr IN (SELECT vid FROM low)),\nlab AS MATERIALIZED")
+    out["census4_tree"] = out["motifs4_similar"]
+    out["census5_copart"] = out["motifs5_copart"] = build("copart", _SETS3, _SETS4, _SETS5, select="SELECT CAST(5 AS BIGINT) AS k, CAST(list_sum(l) / 2 AS BIGINT) AS n_edges, array_to_string(l, '-') AS degs, count(*) AS n FROM d5 GROUP BY ALL")
+    ranks, last = [], "(SELECT vid, 1.0 / (SELECT count(*) FROM deg) AS r FROM deg)"
+    for i in range(4):
+        ranks.append(f"pr{i} AS MATERIALIZED (SELECT adj.nbr AS vid, 0.15 / (SELECT count(*) FROM deg) + 0.85 * sum(r / d) AS r FROM {last} z JOIN deg USING (vid) JOIN adj USING (vid) GROUP BY adj.nbr)")
+        last = f"pr{i}"
+    out["page_rank"] = build("similar", *ranks, select="SELECT vid, round(CAST(r AS DOUBLE), 8) AS value FROM pr3")
+    held = "fr AS (SELECT * FROM p1 WHERE support >= 120)"
+    out["pattern_centric_workers"] = build("copart", *fsm, held, select="SELECT CAST(1 AS BIGINT) AS size, la || '|' || lb AS lbls, (SELECT count(*) FROM al WHERE vl = la AND nl = lb) AS n_mappings FROM fr UNION ALL SELECT 2, array_to_string(list_sort([lc, la, lb]), '|'), count(*) FROM m2 JOIN p2 USING (lc, la, lb) WHERE support >= 120 GROUP BY lc, la, lb")
+    out["pattern_centric_skew"] = build("copart", *fsm, held, select="SELECT count(*) AS n, max(c) AS most, round(avg(c), 6) AS mean, round(CAST(max(c) AS DOUBLE) / sum(c), 6) AS share FROM (SELECT (SELECT count(*) FROM al WHERE vl = la AND nl = lb) AS c FROM fr)")
     return out
 
 
+_SETS5 = """s5 AS MATERIALIZED (SELECT DISTINCT list_sort(list_append(q, nbr)) AS q FROM (SELECT q, unnest(q) AS vid FROM s4) JOIN adj USING (vid) WHERE NOT list_contains(q, nbr)),
+d5 AS MATERIALIZED (SELECT q, list_sort(list(c)) AS l FROM (SELECT q, v, count(*) AS c FROM (SELECT q, unnest(q) AS v FROM s5) JOIN adj ON adj.vid = v WHERE list_contains(q, nbr) GROUP BY q, v) GROUP BY q)"""
 # Visiting order of a connected 4-set, step by step: the smallest word, then the smallest unvisited neighbour.
 _ORDER4 = """o1 AS (SELECT q, l, q[1] AS w0 FROM d4),
 o2 AS (SELECT q, any_value(l) AS l, w0, min(nbr) AS w1 FROM o1 JOIN adj ON vid = w0 WHERE list_contains(q, nbr) GROUP BY q, w0),

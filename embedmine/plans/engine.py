@@ -62,7 +62,7 @@ def explore(g: PropertyGraph, app: MiningApp, store: str = "list", max_size: int
             result.levels[size] = level
         if app.termination:
             level = level.where(~app.termination(view))
-        row["messages"] = row["kept"]
+        row["messages"] = 0 if size == limit else level.count() if app.termination else row["kept"]  # rows that the next step reads
         if store != "list" and size >= 2 and (limit is None or size < limit) and not level.isEmpty():
             alpha = (lambda df, k: _closed(df, EmbeddingView(k, app.mode, ()), app, result, None, None)) if app.aggregation_filter else None
             level, row["messages"] = layered.stored_and_decoded(level, g, size, app, store, alpha)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -11,17 +12,20 @@ from .apps import cliques, fsm, matching, motifs
 from .baselines import centralized, pattern_centric, vertex_centric
 from .functions import patterns
 from .functions.canonical import words
-from .metrics import funnel
+from .metrics import funnel, level_counts
+from .metrics import messages as message_table
 from .operators import aggregate, balance, expand, graph_helpers, layered
 from .plans.engine import explore
 from .plans.model import PATTERN, Emit, MiningApp
-from .plans.scratch import written
+from .plans.scratch import scratch_root, written
 from .sources import derived
 
 Query = Callable[[SparkSession, str], DataFrame]
 _all: dict[str, Query] = {}
 MOTIF = ["k", "n_edges", "degs", "n"]
 THETA = 60
+#: Thresholds on the co-occurrence graph at sf0.01: with patterns of three edges, and with none.
+DEEP, NO_MAXIMUM = 30, 60
 PATH_LABELS = ["PROMO", "STANDARD", "PROMO"]
 
 
@@ -80,11 +84,16 @@ for _name, _size in (("similar", 3), ("copart", 3), ("custsupp", 3), ("coactive"
     add(f"motifs{_size}_{_name}", lambda s, d, make=GRAPHS[_name], k=_size: motifs.count_motifs(make(s, d), k).select(MOTIF))
 
 
+def names_of(g) -> DataFrame:
+    """The vertex label dictionary: label code as text, name."""
+    return g.vertices.select(F.col("vlabel").cast("string").alias("__code"), F.coalesce("vlabel_text", F.lit("")).alias("__name")).distinct()
+
+
 def text_labels(df: DataFrame, g, column: str = "lbls") -> DataFrame:
-    """Replaces the label codes of ``column`` by their sorted texts."""
-    names = {r[0]: r[1] for r in g.vertices.select("vlabel", "vlabel_text").distinct().collect()}  # a label dictionary
-    lookup = F.create_map(*[x for k, v in names.items() for x in (F.lit(str(k)), F.lit(v or ""))])
-    return df.withColumn(column, F.array_join(F.array_sort(F.transform(F.split(column, r"\|"), lambda x: lookup[x])), "|"))
+    """Replaces the label codes of ``column`` by their sorted texts: each distinct combination is looked up once."""
+    each = df.select(column).distinct().select(column, F.explode(F.split(column, r"\|")).alias("__code")).join(names_of(g), "__code", "left")
+    spelled = each.groupBy(column).agg(F.array_join(F.array_sort(F.collect_list(F.coalesce("__name", F.lit("")))), "|").alias("__spelled"))
+    return df.join(spelled, column).withColumn(column, F.col("__spelled")).drop("__spelled")
 
 
 @query
@@ -141,10 +150,10 @@ def vertex_embeddings3(s, d):
     return vectors(motifs.embeddings(sim(s, d), 3), 3)
 
 
-def edge_embeddings(g, k):
-    now = expand.seed_edges(g)
+def edge_embeddings(g, k, labels="both"):
+    now = expand.seed_edges(g, labels)
     for i in range(1, k):
-        now = expand.edge_candidates(now, g, i).where("ok").drop("ok")
+        now = expand.edge_candidates(now, g, i, labels).where("ok").drop("ok")
     return now
 
 
@@ -164,7 +173,7 @@ def funnel_similar(s, d):
 
 
 def growth(s, g, top):
-    return s.createDataFrame([(r["step"], r["processed"]) for r in explore(g, motifs.app(top)).funnel], "size int, n long")
+    return level_counts(s, explore(g, motifs.app(top)))
 
 
 add("growth_similar", lambda s, d: growth(s, sim(s, d), 4))
@@ -174,14 +183,12 @@ add("growth_copart", lambda s, d: growth(s, cop(s, d), 3))
 @query
 def growth_cliques(s, d):
     """Cliques through the general engine."""
-    r = explore(docs(s, d), cliques.app(4))
-    return s.createDataFrame([(x["step"], x["processed"]) for x in r.funnel if x["step"] > 1], "size int, n long")
+    return level_counts(s, explore(docs(s, d), cliques.app(4))).where("size > 1")
 
 
 @query
 def growth_fsm(s, d):
-    mined = fsm.frequent_subgraphs(cop(s, d), THETA, 2)
-    return s.createDataFrame([(k, f.count()) for k, f in mined.embeddings.items()], "size int, n long")
+    return s.createDataFrame([(r["step"], r["kept"]) for r in fsm.frequent_subgraphs(cop(s, d), THETA, 2).funnel], "size int, n long")
 
 
 add("cliques3_copart", lambda s, d: vectors(cliques.find_cliques(cop(s, d), 3)[3], 3))
@@ -193,11 +200,11 @@ add("frequent_cliques_docs", lambda s, d: cliques.frequent_cliques(docs(s, d), 5
 
 
 def canon_labels(df: DataFrame, g) -> DataFrame:
-    """Edges and label texts of canonical forms as arrays: ends (each "a-b:e"), names."""
-    names = {r[0]: r[1] for r in g.vertices.select("vlabel", "vlabel_text").distinct().collect()}
-    lookup = F.create_map(*[x for k, v in names.items() for x in (F.lit(str(k)), F.lit(v or ""))])
+    """Edges and label texts of canonical forms as arrays: ends (each "a-b:e"), names (in the order of the form's vertices)."""
     part = F.split("canon", r"\|")
-    return df.withColumn("ends", F.split(part[0], ",")).withColumn("names", F.transform(F.split(part[1], ","), lambda x: lookup[x]))
+    each = df.select("canon").distinct().select("canon", F.posexplode(F.split(part[1], ",")).alias("__at", "__code")).join(names_of(g), "__code", "left")
+    spelled = each.groupBy("canon").agg(F.array_sort(F.collect_list(F.struct("__at", F.coalesce("__name", F.lit("")).alias("name")))).alias("__names"))
+    return df.join(spelled, "canon").withColumn("ends", F.split(part[0], ",")).withColumn("names", F.col("__names.name")).drop("__names")
 
 
 def one_edge(patterns: DataFrame, g) -> DataFrame:
@@ -241,9 +248,9 @@ def fsm_embeddings_similar(s, d):
 def fsm_edge_labels(s, d):
     g = GRAPHS["custsupp"](s, d)
     p = canon_labels(fsm.frequent_subgraphs(g, 3, 1, labels="both").patterns, g)
-    names = {r[0]: r[1] for r in g.edges.select("elabel", "elabel_text").distinct().collect()}
-    lookup = F.create_map(*[x for k, v in names.items() for x in (F.lit(str(k)), F.lit(v))])
-    return p.select(F.array_min("names").alias("lbl_a"), lookup[F.split(F.col("ends")[0], ":")[1]].alias("elabel"), F.array_max("names").alias("lbl_b"), "support")
+    kinds = g.edges.select(F.col("elabel").cast("string").alias("__kind"), F.col("elabel_text").alias("elabel")).distinct()
+    p = p.withColumn("__kind", F.split(F.col("ends")[0], ":")[1]).join(kinds, "__kind")
+    return p.select(F.array_min("names").alias("lbl_a"), "elabel", F.array_max("names").alias("lbl_b"), "support")
 
 
 add("fsm_support_sweep", lambda s, d: fsm.support_sweep(cop(s, d), [60, 90, 120], 2))
@@ -388,9 +395,20 @@ def pattern_centric_early_stop(s, d):
     return one_edge(pattern_centric.frequent_table(g, THETA, 1, early_stop=True), g)
 
 
-add("pattern_centric_skew", lambda s, d: text_labels(pattern_centric.embeddings_by_pattern(cop(s, d)), cop(s, d)))
+add("pattern_centric_workers", lambda s, d: text_labels(pattern_centric.embeddings_by_pattern(cop(s, d), 120, 2), cop(s, d)))
+
+
+@query
+def pattern_centric_skew(s, d):
+    """How unevenly a worker per pattern is loaded."""
+    return pattern_centric.skew(pattern_centric.embeddings_by_pattern(cop(s, d), 120, 1), "n_mappings").select("n", "most", F.round("mean", 6).alias("mean"), "share")
+
+
 add("census3", lambda s, d: centralized.motif_census(sim(s, d), 3))
 add("census4", lambda s, d: centralized.motif_census(sim(s, d), 4))
+add("census5_copart", lambda s, d: centralized.census_by_tree(cop(s, d), 5).groupBy("k", "n_edges", "degs").agg(F.sum("n").alias("n")))
+add("motifs5_copart", lambda s, d: motifs.count_motifs(cop(s, d), 5).groupBy("k", "n_edges", "degs").agg(F.sum("n").alias("n")))
+add("census4_tree", lambda s, d: centralized.census_by_tree(sim(s, d), 4))
 add("clique_join4", lambda s, d: vectors(centralized.clique_join(docs(s, d), 4), 4))
 add("mine_then_match", lambda s, d: vectors(pattern_centric.mine_then_match(cop(s, d), THETA, 2), 2, "e"))
 add("dedupe_global", lambda s, d: vectors(centralized.dedupe_global(sim(s, d), 3), 3))
@@ -415,13 +433,158 @@ add("triangles_per_vertex", lambda s, d: graph_helpers.triangles(sim(s, d)))
 add("clustering", lambda s, d: graph_helpers.clustering(sim(s, d)))
 add("components", lambda s, d: graph_helpers.components(sim(s, d)))
 add("kcore2", lambda s, d: graph_helpers.k_core(sim(s, d), 2))
+add("page_rank", lambda s, d: graph_helpers.page_rank(sim(s, d), 4).select("vid", F.round("value", 8).alias("value")))
 
 
 @query
 def support_approx(s, d):
-    """Sketched supports of one-edge patterns: within a few per cent of the exact ones."""
+    """One-edge patterns that reach the threshold: sketches leave out what is far below, the rest is counted exactly."""
+    g = cop(s, d)
+    return one_edge(aggregate.support_near(expand.seed_edges(g, "vertex"), 1, THETA), g)
+
+
+# The experiments on one setting: frequent subgraphs of two edges in three paradigms, with their messages.
+@query
+def paradigm_fsm_embedding(s, d):
+    g = cop(s, d)
+    return two_edges(fsm.frequent_subgraphs(g, THETA, 2).patterns, g)
+
+
+@query
+def paradigm_fsm_vertex(s, d):
+    g = cop(s, d)
+    return two_edges(vertex_centric.frequent_subgraphs(g, THETA, 2)[0], g)
+
+
+@query
+def paradigm_fsm_pattern(s, d):
     g = cop(s, d)
-    return one_edge(aggregate.approximate_support(expand.seed_edges(g, "vertex"), 1), g).select("lbl_a", "lbl_b", F.round("support", 0).alias("support"))
+    return two_edges(pattern_centric.frequent_table(g, THETA, 2), g)
+
+
+@query
+def paradigm_messages(s, d):
+    """Rows that pass between steps or owners: the engine hands each kept embedding on once, owners send it to every border vertex."""
+    g = cop(s, d)
+    engine = explore(g, fsm.app(THETA, 2)).funnel
+    return message_table(s, {"embedding": [r["messages"] for r in engine], "vertex": [vertex_centric.frequent_subgraphs(g, THETA, 2)[1]], "pattern": [0]})
+
+
+@query
+def fsm_engine_paths(s, d):
+    """Embeddings of frequent two-edge patterns, with the first level handed on as a path store of two-word rows."""
+    r = explore(cop(s, d), fsm.app(THETA, 2), store="paths")
+    return vectors(r.levels[2], 2, "e")
+
+
+@query
+def fsm3_copart_paths(s, d):
+    """Frequent patterns of three edges, level two decoded from its path store."""
+    g = cop(s, d)
+    return text_labels(fsm.frequent_subgraphs(g, DEEP, 3, store="paths").patterns, g).select("k", "n_edges", "degs", "lbls", "support")
+
+
+@query
+def fsm3_copart(s, d):
+    g = cop(s, d)
+    return text_labels(fsm.frequent_subgraphs(g, DEEP, 3).patterns, g).select("k", "n_edges", "degs", "lbls", "support")
+
+
+@query
+def fsm_no_maximum(s, d):
+    """Without a maximum size: the loop ends where no pattern is frequent any more."""
+    g = cop(s, d)
+    return text_labels(fsm.frequent_subgraphs(g, NO_MAXIMUM).patterns, g).select("k", "n_edges", "degs", "lbls", "support")
+
+
+@query
+def fsm2_custsupp(s, d):
+    """Two-edge patterns with nations on vertices and priorities on edges."""
+    g = GRAPHS["custsupp"](s, d)
+    p = canon_labels(fsm.frequent_subgraphs(g, 2, 2, labels="both").patterns.where("n_edges = 2"), g)
+    kinds = g.edges.select(F.col("elabel").cast("string").alias("__kind"), F.col("elabel_text").alias("__text")).distinct()
+    ends = lambda e: F.split(F.split(e, ":")[0], "-")
+    p = p.withColumn("c", F.array_intersect(ends(F.col("ends")[0]), ends(F.col("ends")[1]))[0])
+    arm = p.select("canon", "support", "names", "c", F.explode("ends").alias("end"))
+    arm = arm.withColumn("tip", F.array_except(ends(F.col("end")), F.array("c"))[0].cast("int")).withColumn("__kind", F.split("end", ":")[1]).join(kinds, "__kind")
+    arm = arm.select("canon", "support", F.col("names")[F.col("c").cast("int")].alias("center"), F.concat_ws(":", F.col("names")[F.col("tip")], "__text").alias("arm"))
+    return arm.groupBy("canon", "center", "support").agg(F.min("arm").alias("arm_a"), F.max("arm").alias("arm_b")).select("center", "arm_a", "arm_b", "support")
+
+
+@query
+def store_size_fsm(s, d):
+    """Sizes of an edge-mode level as lists and as a path store, by step."""
+    g = cop(s, d)
+    out = None
+    for k in (2, 3):
+        f = written(edge_embeddings(g, k), "level")
+        row = layered.sizes(f, layered.build(f, k), k).select("k", "list_words", "list_bytes")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query
+def store_size_coactive(s, d):
+    f = written(motifs.embeddings(GRAPHS["coactive"](s, d), 3), "level")
+    return layered.sizes(f, layered.build(f, 3), 3)
+
+
+@query
+def store_spurious(s, d):
+    """Paths of a store without patterns, embeddings among them, and the rest that decoding refuses."""
+    return layered.store_stats(store3(s, d, False)[1], sim(s, d), 3, per_pattern=False)
+
+
+add("store_roundtrip_edges", lambda s, d: vectors(layered.decode(written(layered.build(edge_embeddings(cop(s, d), 2), 2), "paths"), cop(s, d), 2, MiningApp("all", mode="edge")), 2, "e"))
+add("store_roundtrip_parts", lambda s, d: vectors(layered.decode(store3(s, d)[1], sim(s, d), 3, parts=4), 3))
+
+
+@query
+def store_roundtrip_labelled(s, d):
+    """Labelled chains and triangles, stored and decoded with their labels."""
+    g = cop(s, d)
+    store = written(layered.build(motifs.embeddings(g, 3, labelled=True), 3), "paths")
+    found = layered.decode(store, g, 3, MiningApp("all", labelled=True))
+    return text_labels(aggregate.count_by_pattern(found.drop("canon", "touch"), 3), g).groupBy("k", "n_edges", "degs", "lbls").agg(F.sum("n").alias("n"))
+
+
+@query
+def motifs3_engine_labelled_paths(s, d):
+    g = cop(s, d)
+    r = explore(g, motifs.app(3, labelled=True), store="paths")
+    return text_labels(r.finals["n"].where("k = 3"), g).groupBy("k", "n_edges", "degs", "lbls").agg(F.sum("n").alias("n"))
+
+
+add("two_level_custsupp", lambda s, d: motifs.aggregation_stats(GRAPHS["custsupp"](s, d), 3).select("k", "n_embeddings", "n_quick", "n_canonical"))
+add("two_level_coactive", lambda s, d: motifs.aggregation_stats(GRAPHS["coactive"](s, d), 3).select("k", "n_embeddings", "n_quick", "n_canonical"))
+
+
+@query
+def two_level_fsm(s, d):
+    """Embeddings, quick and canonical patterns of two-edge labelled subgraphs."""
+    forms = aggregate.forms_of(written(edge_embeddings(cop(s, d), 2, "vertex"), "level"), None)
+    return forms.agg(F.sum("n").alias("n_embeddings"), F.count(F.lit(1)).alias("n_quick"), F.countDistinct("canon").alias("n_canonical"))
+
+
+add("one_level_custsupp", lambda s, d: motifs.count_motifs(GRAPHS["custsupp"](s, d), 3, two_level=False).select(MOTIF))
+add("motifs_upto4_copart", lambda s, d: motifs.count_motifs(cop(s, d), 4, "upto").select(MOTIF))
+
+
+@query
+def outputs_to_sink(s, d):
+    """The engine's outputs by step, written to a folder as they are made and read back."""
+    folder = f"{scratch_root(s)}/sink-{uuid.uuid4().hex}"
+    explore(docs(s, d), cliques.app(3), sink=folder)
+    return s.read.parquet(folder).where("k > 1").groupBy("k").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query
+def degree_filter(s, d):
+    """An application that reads an attribute of the newest vertex: embeddings of vertices of degree 8 at most."""
+    g = sim(s, d)
+    degree = graph_helpers.degrees(g).select(F.col("vid").alias("word"), F.col("value").alias("degree"))
+    r = explore(g, MiningApp("low degree", needs=degree, filter=lambda e: F.col("degree") <= 8, max_size=3))
+    return level_counts(s, r)
 
 
 def queries() -> dict[str, Query]:

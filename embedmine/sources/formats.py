@@ -41,6 +41,18 @@ def write_edge_list(g: PropertyGraph, path: str) -> None:
     g.edges.select(F.concat_ws(" ", F.col("src").cast("string"), F.col("dst").cast("string")).alias("value")).write.text(path)
 
 
+def read_pairs(spark: SparkSession, path: str, kind: str = "json") -> DataFrame:
+    """Edges (a, b, e) from JSON lines or ORC files with these columns; e may be missing or null."""
+    if kind == "json":
+        return spark.read.schema("a long, b long, e string").json(path)
+    found = spark.read.format(kind).load(path)
+    return found.select(F.col("a").cast("long"), F.col("b").cast("long"), (F.col("e") if "e" in found.columns else F.lit(None)).cast("string").alias("e"))
+
+
+def write_pairs(g: PropertyGraph, path: str, kind: str = "json") -> None:
+    g.edges.select(F.col("src").alias("a"), F.col("dst").alias("b"), F.col("elabel_text").alias("e")).write.format(kind).save(path)
+
+
 def write_embeddings(f: DataFrame, path: str, step: int, mode: str = "append") -> None:
     """A step's embeddings below ``path``, partitioned by step."""
     f.withColumn("step", F.lit(step)).write.mode(mode).partitionBy("step").parquet(path)
@@ -52,6 +64,12 @@ def edge_list_round_trip(g: PropertyGraph) -> DataFrame:
     return read_edge_list(g.edges.sparkSession, path).select("a", "b")
 
 
+def pairs_round_trip(g: PropertyGraph, kind: str) -> DataFrame:
+    path = f"{scratch_root(g.edges.sparkSession)}/pairs-{uuid.uuid4().hex}"
+    write_pairs(g, path, kind)
+    return read_pairs(g.edges.sparkSession, path, kind)
+
+
 @udtf(returnType="a int, b int")
 class DecodeCode:
     """Edges (a, b) between positions of a vertex-mode quick code."""

@@ -83,14 +83,19 @@ def stream_tumbling(spark: SparkSession, path: str, minutes: int) -> DataFrame:
     return run_to_end(counts, "complete").select(F.floor(micros(F.col("w.start").cast("timestamp_ntz")) / (minutes * 60_000_000)).alias("hour"), "event_type", "n")
 
 
-def stream_pairs(spark: SparkSession, path: str, kind: str, minutes: int) -> DataFrame:
-    """Pairs of users with events of one type within ``minutes``: a stream joined with itself by interval."""
+def pairs_within(spark: SparkSession, path: str, kind: str, minutes: int) -> DataFrame:
+    """A stream of (a, b): users with events of one type within ``minutes``, by an interval join of the stream with itself."""
     e = stream(spark, path).where(F.col("event_type") == kind).withColumn("ts", F.col("ts").cast("timestamp"))
     a = e.select(F.col("user_id").alias("ua"), F.col("ts").alias("ta"), F.col("event_type").alias("ka")).withWatermark("ta", "1 hour")
     b = e.select(F.col("user_id").alias("ub"), F.col("ts").alias("tb"), F.col("event_type").alias("kb")).withWatermark("tb", "1 hour")
     span = F.expr(f"INTERVAL {minutes} MINUTES")
     met = a.join(b, (F.col("ka") == F.col("kb")) & (F.col("ua") < F.col("ub")) & (F.col("tb") >= F.col("ta") - span) & (F.col("tb") <= F.col("ta") + span))
-    return run_to_end(met.select("ua", "ub")).select(F.col("ua").alias("a"), F.col("ub").alias("b")).distinct()
+    return met.select(F.col("ua").alias("a"), F.col("ub").alias("b"))
+
+
+def stream_pairs(spark: SparkSession, path: str, kind: str, minutes: int) -> DataFrame:
+    """The distinct pairs of :func:`pairs_within` when the stream has been read to its end."""
+    return run_to_end(pairs_within(spark, path, kind, minutes)).distinct()
 
 
 def stream_counters(spark: SparkSession, path: str) -> DataFrame:
@@ -108,3 +113,27 @@ def stream_counters(spark: SparkSession, path: str) -> DataFrame:
 def mine_snapshots(spark: SparkSession, path: str, mine: Callable[[PropertyGraph], DataFrame], kind: str, minutes: int) -> DataFrame:
     """Mines the graph built so far after the stream's edges have been gathered: mining itself is a batch on a snapshot."""
     return mine(PropertyGraph.build(stream_pairs(spark, path, kind, minutes)))
+
+
+def stream_distinct(spark: SparkSession, path: str, key: list[str], wait: str = "7 days") -> DataFrame:
+    """Events without those that repeat ``key`` within the watermark: state is kept for ``wait`` only."""
+    e = stream(spark, path).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", wait)
+    return run_to_end(e.dropDuplicatesWithinWatermark(key))
+
+
+def mine_each_batch(spark: SparkSession, path: str, mine: Callable[[PropertyGraph], DataFrame], kind: str, minutes: int) -> list[DataFrame]:
+    """Results after each micro-batch: new pairs of users join those of the batches before, and the whole graph is mined
+    again. The pairs so far are a table in shared storage, replaced by a new one each time."""
+    gathered: list[DataFrame] = []
+    results: list[DataFrame] = []
+
+    def step(batch: DataFrame, number: int) -> None:
+        whole = batch.distinct() if not gathered else gathered[-1].unionByName(batch).distinct()
+        gathered.append(written(whole, f"pairs-{number}"))
+        if not gathered[-1].isEmpty():
+            results.append(written(mine(PropertyGraph.build(gathered[-1])), f"mined-{number}"))
+
+    place = f"{scratch_root(spark)}/stream-{uuid.uuid4().hex}"
+    met = pairs_within(spark, path, kind, minutes)
+    met.writeStream.foreachBatch(step).option("checkpointLocation", place).trigger(availableNow=True).start().awaitTermination()
+    return results
