@@ -58,7 +58,7 @@ def count_tokens(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 for n in range(1, LONGEST + 1):
                     for g in grams(word, n):
                         counts[lang, n, g] += c
-            if len(counts) > 300_000:
+            if len(counts) > 100_000:
                 yield flush()
     if counts:
         yield flush()
@@ -107,11 +107,13 @@ def train(docs: DataFrame, learn: Column, text: str = "text", lang: str = "lang"
     totals = counts.groupBy("lang", "n").agg(F.sum("count").alias("total"))
     kept = counts.join(F.broadcast(totals), ["lang", "n"])  # a row for each language and length
     langs = sorted(sizes)
-    at = {x: i for i, x in enumerate(langs)}
+    logs = F.collect_list(F.struct("lang", F.log(F.col("count") / F.col("total")).alias("log")))  # one a language at most
     tables: list[dict] = [{} for _ in range(LONGEST + 1)]
-    for r in kept.select("lang", "n", "token", (F.log(F.col("count") / F.col("total"))).alias("log")).toLocalIterator():
-        tables[r["n"]].setdefault(r["token"], [MISSING] * len(langs))[at[r["lang"]]] = r["log"]
-    tables = [{k: tuple(v) for k, v in t.items()} for t in tables]
+    same: dict[tuple, tuple] = {}  # rare entries share few rows of frequencies, which the workers then share too
+    for r in kept.groupBy("n", "token").agg(logs.alias("logs")).toLocalIterator():
+        found = dict(r["logs"])
+        row = tuple(found.get(x, MISSING) for x in langs)
+        tables[r["n"]][r["token"]] = same.setdefault(row, row)
     return Model(langs, tables[0], tables)
 
 
