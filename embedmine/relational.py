@@ -8,9 +8,10 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .apps import motifs
 from .queries import plain
 from .sources import formats
-from .sources.derived import copart, table
+from .sources.derived import copart, custsupp, table
 from .streaming import windows
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -232,6 +233,21 @@ def op_edge_list_round_trip(s, d):
     return formats.edge_list_round_trip(copart(s, d, 2))
 
 
+_PAIRS = "SELECT least(c, s) AS a, greatest(c, s) AS b, min(p) AS e FROM (SELECT 2 * o_custkey AS c, 2 * l_suppkey + 1 AS s, o_orderpriority AS p FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_returnflag = 'R' AND l_quantity >= 45) GROUP BY ALL"
+
+
+@op(_PAIRS)
+def op_json_round_trip(s, d):
+    """A graph's labelled edges as JSON lines, read back with their schema."""
+    return formats.pairs_round_trip(custsupp(s, d, 45), "json")
+
+
+@op(_PAIRS)
+def op_orc_round_trip(s, d):
+    """The same as ORC files."""
+    return formats.pairs_round_trip(custsupp(s, d, 45), "orc")
+
+
 _TUMBLE = "SELECT CAST(epoch_us(ts) // 3600000000 AS BIGINT) AS hour, event_type, count(*) AS n FROM events GROUP BY ALL"
 
 
@@ -274,6 +290,23 @@ def op_stream_counters(s, d):
     return windows.stream_counters(s, f"{d}/events.parquet")
 
 
+@op("SELECT user_id, event_type, count(*) AS n FROM (SELECT DISTINCT event_id, user_id, event_type FROM events) GROUP BY ALL")
+def op_stream_distinct(s, d):
+    """Events by user and type, each id once within the watermark."""
+    found = windows.stream_distinct(s, f"{d}/events.parquet", ["event_id"], "3650 days")
+    return found.groupBy("user_id", "event_type").agg(F.count(F.lit(1)).alias("n"))
+
+
+@op("""WITH e AS (SELECT a.user_id AS src, b.user_id AS dst FROM events a JOIN events b ON a.event_type = 'error' AND b.event_type = 'error' AND a.user_id < b.user_id AND abs(epoch_us(a.ts) - epoch_us(b.ts)) <= 300000000 GROUP BY ALL),
+deg AS (SELECT v, count(*) AS d FROM (SELECT unnest([src, dst]) AS v FROM e) GROUP BY v),
+tri AS (SELECT count(*) AS t FROM e a JOIN e b ON a.dst = b.src JOIN e c ON c.src = a.src AND c.dst = b.dst)
+SELECT CAST(n_edges AS BIGINT) AS n_edges, CAST(n AS BIGINT) AS n FROM (SELECT 2 AS n_edges, (SELECT sum(d * (d - 1) // 2) FROM deg) - 3 * (SELECT t FROM tri) AS n UNION ALL SELECT 3, (SELECT t FROM tri)) WHERE n > 0""")
+def op_stream_mining(s, d):
+    """Motifs of three users with errors within five minutes, mined again after each micro-batch: the last result."""
+    results = windows.mine_each_batch(s, f"{d}/events.parquet", lambda g: motifs.count_motifs(g, 3).select("n_edges", "n"), "error", 5)
+    return results[-1]
+
+
 def queries() -> dict[str, Query]:
     return dict(_queries)
 
