@@ -43,14 +43,14 @@ def at_scale(cpus: str) -> dict[str, float]:
     from embedmine.sources import derived
 
     spark = session(cpus)
-    dense, copart = derived.similar(spark, SF_DIR, 0.25), derived.copart(spark, SF_DIR, 2)
-    for g in (dense, copart):
+    dense, custsupp = derived.similar(spark, SF_DIR, 0.26), derived.custsupp(spark, SF_DIR, 45)
+    for g in (dense, custsupp):
         g.adjacency.count()
-    total(motifs.count_motifs(copart, 3))
+    total(motifs.count_motifs(custsupp, 3))
     runs = {
-        "motifs3_dense": lambda: total(motifs.count_motifs(dense, 3)),
+        "motifs4_dense": lambda: total(motifs.count_motifs(dense, 4)),
         "cliques4_dense": lambda: total(cliques.clique_counts(dense, 4)),
-        "fsm_copart_theta30": lambda: fsm.frequent_subgraphs(copart, 30, 2).patterns.count(),
+        "fsm_custsupp_theta20": lambda: fsm.frequent_subgraphs(custsupp, 20, 2).patterns.count(),
     }
     out = {}
     for name, run in runs.items():

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.canonical import words
 from ..plans.model import MiningApp
-from ..plans.scratch import written
+from ..plans.scratch import spread, written
 from ..sources.graph import PropertyGraph
 
 
@@ -31,14 +31,14 @@ def open_cliques(g: PropertyGraph, max_size: int) -> Iterator[tuple[int, DataFra
     """
     if max_size < 2:
         return
-    ahead = written(forward(g), "forward")
+    ahead = written(spread(forward(g), "vid"), "forward")
     now = ahead.select(F.col("vid").alias("w0"), F.col("ahead").alias("open"))
     yield 1, now
     for k in range(1, max_size - 1):
         grown = now.select(*words(k), "open", F.explode("open").alias(f"w{k}"))
         joined = grown.join(g.shared(ahead.withColumnRenamed("vid", f"w{k}")), f"w{k}")
         now = joined.select(*words(k + 1), F.array_intersect("open", "ahead").alias("open")).where(F.size("open") > 0)
-        now = written(now, f"cliques-{k + 1}")
+        now = written(spread(now, *words(k + 1)), f"cliques-{k + 1}")
         yield k + 1, now
 
 

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import patterns
 from ..functions.canonical import every, words
+from ..plans.scratch import spread
 from ..sources.graph import PropertyGraph
 from .motifs import embeddings
 
@@ -49,7 +50,7 @@ def match_pattern(g: PropertyGraph, edges: list[tuple[int, int]], labels: list[s
     for v in order:
         col = f"x{v}"
         if now is None:
-            now = g.adjacency.select(F.col("vid").alias(col)).distinct()
+            now = spread(g.adjacency.select(F.col("vid").alias(col)).distinct(), col)
         else:
             near = [u for u in seen if {u, v} in [set(e) for e in edges]]
             now = now.join(g.shared(pairs.select(F.col("vid").alias(f"x{near[0]}"), F.col("nbr").alias(col))), f"x{near[0]}")

@@ -13,6 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.canonical import bit, every, extended_code, is_canonical, later_words, some, words
+from ..plans.scratch import spread
 from ..sources.graph import PropertyGraph
 
 
@@ -47,7 +48,8 @@ def met_by_all(f: DataFrame, g: PropertyGraph, k: int) -> DataFrame:
 
 
 def met_by_first(f: DataFrame, g: PropertyGraph, k: int) -> DataFrame:
-    """The canonical extensions alone, without a shuffle, where the graph may be broadcast.
+    """The canonical extensions alone, where the graph may be broadcast: the parents are dealt evenly, and
+    their many extensions never move.
 
     Only the meeting with the first member touched counts, and for that one the
     order is a test within the row: the extension exceeds every later word. What
@@ -57,7 +59,7 @@ def met_by_first(f: DataFrame, g: PropertyGraph, k: int) -> DataFrame:
     labelled = "labels" in f.columns
     members = F.array(*[F.struct(F.lit(1 << i).cast("long").alias("bit"), F.col(w).alias("vid"), later_words(k, i).alias("later")) for i, w in enumerate(words(k))])
     near = g.adjacency.select("vid", F.col("nbr").alias("ext"), *(["nlabel"] if labelled else []))
-    met = f.withColumn("m", F.explode(members)).select(*f.columns, F.col("m.bit").alias("bit"), F.col("m.vid").alias("vid"), F.col("m.later").alias("later"))
+    met = spread(f, *words(k)).withColumn("m", F.explode(members)).select(*f.columns, F.col("m.bit").alias("bit"), F.col("m.vid").alias("vid"), F.col("m.later").alias("later"))
     met = met.join(g.shared(near), "vid").where((F.col("ext") > F.col("w0")) & (F.col("ext") > F.col("later")) & every([F.col("ext") != F.col(w) for w in words(k)[1:]]))
     touch = F.col("bit")
     if k > 1:
@@ -141,7 +143,8 @@ def edge_candidates(f: DataFrame, g: PropertyGraph, k: int, labels: str = "both"
     An edge between two members would be met from both ends; it is taken from
     its smaller end only.
     """
-    met = f.withColumn("vid", F.explode("vs")).join(g.shared(incident(g)), "vid").where(F.col("eid") > F.col("w0"))
+    parents = spread(f, *words(k)) if g.small else f
+    met = parents.withColumn("vid", F.explode("vs")).join(g.shared(incident(g)), "vid").where(F.col("eid") > F.col("w0"))
     met = met.where((F.col("vid") == F.col("src")) | ~F.array_contains("vs", F.col("src")))
     met = met.where(every([F.col("eid") != F.col(w) for w in words(k)]))
     return grown_edges(met, k, labels)

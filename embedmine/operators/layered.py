@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from ..functions import patterns
 from ..functions.canonical import every, extended_code, is_canonical, words
 from ..plans.model import EmbeddingView, MiningApp
-from ..plans.scratch import written
+from ..plans.scratch import spread, written
 from ..sources.graph import PropertyGraph, measured
 from . import balance
 from .aggregate import code_keys
@@ -80,7 +80,7 @@ def decode(store: DataFrame, g: PropertyGraph, k: int, app: MiningApp | None = N
     steps, small = share(store)
 
     if parts is None:
-        now = store.where("level = 0").select("canon", F.col("node").alias("w0")).distinct()
+        now = spread(store.where("level = 0").select("canon", F.col("node").alias("w0")).distinct(), "canon", "w0")
         keep: tuple[str, ...] = ("canon",)
     else:
         now = balance.partition_paths(store, k, parts).select("canon", "part", "prefix", F.col("prefix")[0].alias("w0")).repartitionById(parts, F.col("part"))

@@ -42,3 +42,9 @@ def written(df: DataFrame, name: str, partition_by: tuple[str, ...] = ()) -> Dat
     writer = df.write.partitionBy(*partition_by) if partition_by else df.write
     writer.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def spread(df: DataFrame, *keys: str) -> DataFrame:
+    """The rows dealt evenly to as many tasks as a shuffle has, before a step that multiplies them without
+    another shuffle: few small files, or few partitions merged by their size, would leave most cores idle."""
+    return df.repartition(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), *keys)
