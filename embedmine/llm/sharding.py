@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import by_value, ranked, text_or_empty, written
+from .common import by_value, ranked, spread_join, text_or_empty, written
 
 by_value(__name__)
 
@@ -217,7 +217,7 @@ def shard(docs: DataFrame, shards: int = SHARDS, text: str = "text", doc_id: str
     sizes = units.groupBy("bytes").agg(F.count(F.lit(1)).alias("n"))
     plan = sizes.coalesce(1).mapInArrow(fit, "bytes long, low long, high long, shard long")
     plan = written(plan, "plan").groupBy("bytes").agg(F.collect_list(F.struct("low", "high", "shard")).alias("plan"))  # a size is in each shard once at most
-    placed = ranked(units, ["bytes"], ["group", "part"], "rank", salts).join(plan, "bytes")
+    placed = spread_join(ranked(units, ["bytes"], ["group", "part"], "rank", salts), plan, ["bytes"], ["group", "part"])  # many groups may have one size
     placed = placed.select("group", "part", "heavy", F.filter("plan", lambda x: (F.col("rank") >= x["low"]) & (F.col("rank") < x["high"]))[0]["shard"].cast("int").alias("shard"))
     placed = written(placed, "placed-units")
     light = rows.where("not heavy").drop("heavy", "part").join(placed.where("not heavy").select("group", "shard"), "group").drop("group")
