@@ -9,6 +9,7 @@ it, and joins the findings back to all paths that hold the blob.
 from __future__ import annotations
 
 import uuid
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -53,27 +54,49 @@ RULES = (
 )
 
 
+def once(value: Column, use: Callable[[Column], Column]) -> Column:
+    """``use`` of a value that is computed one time, though lambdas in it read it again and again."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
+def without_repeats(found: Column) -> Column:
+    """The spans sorted, each one time. (array_distinct compares all pairs of structs.)"""
+    return once(F.array_sort(found), lambda s: F.filter(s, lambda x, i: (i == 0) | (x != F.get(s, i - 1))))
+
+
 def find(text: Column, rule: Rule, rank: int) -> Column:
     """Array of (start, rank, stop, kind) in code points, stop exclusive.
 
-    The pieces between the matches and the matches themselves tell the places.
+    The pieces between the matches and the matches themselves tell the places:
+    the lengths of all before them, summed first by blocks of as many matches as
+    there are blocks, then within each, so that no long array grows match by match.
     """
-    lit = F.lit(rule.pattern)
     nothing = F.array().cast(FOUND)
-    start = F.struct(F.lit(0).alias("at"), nothing.alias("out"))
-
-    def step(acc: Column, x: Column) -> Column:
-        begin = acc["at"] + F.length(x["gap"])
-        stop = begin + F.length(x["hit"])
-        span = F.struct(begin.alias("start"), F.lit(rank).alias("rank"), stop.alias("stop"), F.lit(rule.kind).alias("kind"))
-        return F.struct(stop.alias("at"), F.when(F.length(x["part"]) >= rule.least, F.concat(acc["out"], F.array(span))).otherwise(acc["out"]).cast(FOUND).alias("out"))
-
-    hits = F.regexp_extract_all(text, lit, F.lit(0))
-    parts = F.regexp_extract_all(text, lit, F.lit(rule.group)) if rule.group else hits
-    rows = F.arrays_zip(F.slice(F.split(text, rule.pattern, -1), 1, F.size(hits)).alias("gap"), hits.alias("hit"), parts.alias("part"))
-    spans = F.aggregate(rows, start, step, lambda acc: acc["out"])
+    hits = F.regexp_extract_all(text, F.lit(rule.pattern), F.lit(0))
+    parts = F.regexp_extract_all(text, F.lit(rule.pattern), F.lit(rule.group)) if rule.group else hits
+    pieces = F.arrays_zip(F.slice(F.split(text, rule.pattern, -1), 1, F.size(hits)).alias("gap"), hits.alias("hit"), parts.alias("part"))
+    sized = F.transform(pieces, lambda x: F.struct(F.length(x["gap"]).alias("gap"), F.length(x["hit"]).alias("hit"), (F.length(x["part"]) >= rule.least).alias("good")))
+
+    def spans(rows: Column) -> Column:
+        wide = F.ceil(F.sqrt(F.size(rows))).cast("int")
+        blocks = F.sequence(F.lit(0), F.floor((F.size(rows) - 1) / wide).cast("int"))
+        places = lambda b: F.sequence(b * wide, F.least((b + 1) * wide, F.size(rows)) - 1)
+        lengths = F.transform(blocks, lambda b: F.aggregate(places(b), F.lit(0), lambda n, i: n + F.get(rows, i)["gap"] + F.get(rows, i)["hit"]))
+        zero = F.struct(F.lit(0).alias("at"), F.array().cast("array<int>").alias("out"))
+        bases = F.aggregate(lengths, zero, lambda acc, n: F.struct((acc["at"] + n).alias("at"), F.concat(acc["out"], F.array(acc["at"])).alias("out")), lambda acc: acc["out"])
+
+        def step(acc: Column, i: Column) -> Column:
+            x = F.get(rows, i)
+            begin = acc["at"] + x["gap"]
+            stop = begin + x["hit"]
+            span = F.struct(begin.alias("start"), F.lit(rank).alias("rank"), stop.alias("stop"), F.lit(rule.kind).alias("kind"))
+            return F.struct(stop.alias("at"), F.when(x["good"], F.concat(acc["out"], F.array(span))).otherwise(acc["out"]).alias("out"))
+
+        within = lambda base, b: F.aggregate(places(b), F.struct(base.alias("at"), nothing.alias("out")), step, lambda acc: acc["out"])
+        return F.flatten(F.transform(bases, within))
+
     hinted = text.contains(rule.hint) & text.rlike(rule.pattern) if rule.hint else text.rlike(rule.pattern)
-    return F.when(hinted, spans).otherwise(nothing)
+    return F.when(hinted, once(sized, spans)).otherwise(nothing)
 
 
 def scan(blobs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
@@ -111,7 +134,7 @@ def scan_versions(versions: DataFrame, ledger: str, text: str = "text", path: st
     entries = spark.read.schema(schema).parquet(ledger).where(F.size("found") > 0).where(F.arrays_overlap("scanned", F.array(*map(F.lit, active))))
     of_rule = lambda x: F.array_contains(F.col("scanned"), F.element_at(F.create_map(*[y for r in rules for y in (F.lit(r.kind), F.lit(r.key))]), x["kind"]))
     entries = entries.select("blob", F.filter("found", lambda x: F.array_contains(kinds, x["kind"]) & of_rule(x)).alias("found")).where(F.size("found") > 0)
-    per_blob = entries.groupBy("blob").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_set("found")))).alias("found"))
+    per_blob = entries.groupBy("blob").agg(without_repeats(F.flatten(F.collect_set("found"))).alias("found"))
     paths = versions.select(F.col(path).alias(path), blob.alias("blob"))
     return paths.join(per_blob, "blob", "left").select(path, "blob", F.coalesce("found", F.array().cast(FOUND)).alias("found"))
 
